@@ -22,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -92,7 +93,7 @@ def by_bytes(batches: Iterator[pa.RecordBatch], column: str, limit: int = BATCH_
         if not b.num_rows:
             continue
         text = b.column(b.schema.get_field_index(column))
-        sizes = np.asarray(pa.compute.fill_null(pa.compute.binary_length(text), 0)).astype(np.int64)
+        sizes = np.asarray(pc.fill_null(pc.binary_length(text), 0)).astype(np.int64)
         part = (np.cumsum(sizes) - sizes) // limit
         edges = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), b.num_rows]
         for s, e in zip(edges, edges[1:], strict=False):
@@ -109,7 +110,7 @@ def token_counts(docs: DataFrame, text: str = "text", over: int = 512, engine: s
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in by_bytes(batches, text, batch_bytes):
             i = b.schema.get_field_index(text)
-            n_bytes = pa.compute.fill_null(pa.compute.binary_length(b.column(i)), 0).cast(pa.int64())
+            n_bytes = pc.fill_null(pc.binary_length(b.column(i)), 0).cast(pa.int64())
             n = np.fromiter((len(encode(v.as_py(), engine)) for v in b.column(i)), np.int64, b.num_rows)
             columns = [b.column(k) for k in range(b.num_columns) if k != i]
             yield pa.RecordBatch.from_arrays([*columns, n_bytes, pa.array(n), pa.array(n > over)], [*keep, *made])
