@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from motifknn.llm.digest import op10_improbable_digest
+from motifknn.llm.html import op4_html_main_text
+from motifknn.llm.langid import op1_language_id
 from motifknn.llm.packing import op6_best_fit_packing
 from motifknn.llm.tokens import op5_token_counts
 
 QUERIES = {
+    "op1_language_id": op1_language_id,
+    "op4_html_main_text": op4_html_main_text,
     "op5_token_counts": op5_token_counts,
     "op6_best_fit_packing": op6_best_fit_packing,
+    "op10_improbable_digest": op10_improbable_digest,
 }
 
 SQL: dict[str, str] = {}
