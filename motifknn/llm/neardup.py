@@ -6,12 +6,11 @@ ones, and once all bins are full the rest of the rounds is not needed; from roun
 bin takes all elements, so every coordinate fills. ``BANDS`` bands of the sketch are looked up by equality:
 two sets of similarity 0.8 share none with a probability of about 1e-7.
 
-Documents of one set are one class and are represented by their smallest id. Candidates come in rounds: in
-every bucket that holds more than one component, members of other components are paired with one drawn
-member; the last phase pairs what is still apart with everything of another component in its buckets, so
-nothing that shares a bucket stays untested, while a bucket of n copies costs about n tests rather than n
-squared. Sketch bits and set sizes drop pairs that cannot reach the threshold; the rest is confirmed on the
-full sets. Links are contracted to components by joins and aggregations; nothing is gathered on the driver.
+Documents of one set are one class and are represented by their smallest id. Candidates come
+in rounds (see ``candidates``): a bucket of n copies costs about n tests rather than n squared, and nothing
+that shares a bucket stays untested. Sketch bits and set sizes drop pairs that cannot reach the threshold; the
+rest is confirmed on the full sets. Links are contracted to components by joins and aggregations; nothing is
+gathered on the driver.
 
 Defined results: null or blank texts have an empty set, are linked with nothing and kept. A row with a null
 id is not linked, has a null component and is kept. Rows with one id are each judged by their own text.
@@ -26,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from motifknn.llm.components import connected_components
+from motifknn.llm.candidates import link_components
 from motifknn.llm.scratch import materialise, release
 from motifknn.llm.tokens import by_bytes
 
@@ -144,10 +143,12 @@ def full_sets(docs: DataFrame, width: int = 4) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, shingles array<long>")
 
 
-def _may_link(x: str, y: str, percent: int) -> Column:
-    n, m = F.col(f"{x}.n"), F.col(f"{y}.n")
-    same = F.bit_count(F.col(f"{x}.bits_a").bitwiseXOR(F.col(f"{y}.bits_a"))) + F.bit_count(F.col(f"{x}.bits_b").bitwiseXOR(F.col(f"{y}.bits_b")))
-    return (F.col(f"{x}.comp") != F.col(f"{y}.comp")) & (F.least(n, m) * 100 >= F.greatest(n, m) * percent) & (same <= COORDS - LEAST_BITS)
+def _may_link(percent: int):
+    def test(x: Column, y: Column) -> Column:
+        differ = F.bit_count(x["bits_a"].bitwiseXOR(y["bits_a"])) + F.bit_count(x["bits_b"].bitwiseXOR(y["bits_b"]))
+        return (F.least(x["n"], y["n"]) * 100 >= F.greatest(x["n"], y["n"]) * percent) & (differ <= COORDS - LEAST_BITS)
+
+    return test
 
 
 def confirm(pairs: DataFrame, docs: DataFrame, percent: int = 80, width: int = 4) -> DataFrame:
@@ -171,28 +172,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     several = dealt.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("bucket")
     members = materialise(dealt.join(several, "bucket").join(classes.select("rep", "n", "bits_a", "bits_b"), "rep"))
 
-    links: DataFrame | None = None
-    comps: DataFrame | None = None
-    tested: DataFrame | None = None
-    for r in range(drawn_rounds + 1):
-        now = members if comps is None else members.join(comps, members["rep"] == comps["node"], "left")
-        x = now.select("bucket", F.struct("rep", "n", "bits_a", "bits_b", (F.col("rep") if comps is None else F.coalesce("component", "rep")).alias("comp")).alias("x"))
-        if r < drawn_rounds:
-            other = x.groupBy("bucket").agg(F.min(F.struct(F.xxhash64(F.col("x.rep"), F.lit(r)).alias("draw"), "x")).alias("y"), F.min("x.comp").alias("lo"), F.max("x.comp").alias("hi")).where("lo < hi").select("bucket", F.col("y.x").alias("y"))
-            near = x.join(other, "bucket")
-        else:
-            held = x.groupBy("bucket", "x.comp").agg(F.count(F.lit(1)).alias("size")).groupBy("bucket").agg(F.max(F.struct("size", "comp")).alias("main"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
-            apart = x.join(held.select("bucket", F.col("main.comp").alias("main")), "bucket").where("x.comp != main").select("bucket", F.col("x").alias("y"))
-            near = x.join(apart, "bucket")
-        pairs = near.where(_may_link("x", "y", percent)).select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")).distinct()
-        pairs = materialise(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"))
-        if pairs.isEmpty():
-            continue
-        found = confirm(pairs, docs, percent, width)
-        tested = pairs if tested is None else tested.union(pairs)
-        if not found.isEmpty():
-            links = found if links is None else links.union(found)
-            comps = connected_components(links)
+    comps = link_components(members, ["n", "bits_a", "bits_b"], _may_link(percent), lambda pairs: confirm(pairs, docs, percent, width), drawn_rounds)
     named = classes.select("key_a", "key_b", "rep")
     named = named.select("key_a", "key_b", F.col("rep").alias("component_id")) if comps is None else named.join(comps, named["rep"] == comps["node"], "left").select("key_a", "key_b", F.coalesce("component", "rep").alias("component_id"))
     of = sets.select("doc_id", "n", "key_a", "key_b").join(named, ["key_a", "key_b"]).select("doc_id", "n", "component_id")
