@@ -5,6 +5,7 @@ from __future__ import annotations
 from motifknn.llm.digest import op10_improbable_digest
 from motifknn.llm.html import op4_html_main_text
 from motifknn.llm.langid import op1_language_id
+from motifknn.llm.lines import op7_fuzzy_line_dedup
 from motifknn.llm.mixing import SQL_OP3, op3_curriculum_mix
 from motifknn.llm.neardup import op9_minhash_near_dedup
 from motifknn.llm.packing import op6_best_fit_packing
@@ -19,6 +20,7 @@ QUERIES = {
     "op4_html_main_text": op4_html_main_text,
     "op5_token_counts": op5_token_counts,
     "op6_best_fit_packing": op6_best_fit_packing,
+    "op7_fuzzy_line_dedup": op7_fuzzy_line_dedup,
     "op8_vector_bin_packing_shards": op8_vector_bin_packing_shards,
     "op9_minhash_near_dedup": op9_minhash_near_dedup,
     "op10_improbable_digest": op10_improbable_digest,
