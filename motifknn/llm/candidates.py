@@ -1,9 +1,16 @@
 """From buckets of possible matches to components, without all pairs of a bucket.
 
-In every bucket that holds more than one component, members of other components are paired with one drawn
-member of it, for a few rounds with new draws; a last phase pairs what is still apart from its bucket's
-largest component with every member of another component there, so nothing that shares a bucket stays
-untested, while a bucket of n copies costs about n tests. A pair is tested once. DataFrame operations only.
+Phase one: in every bucket its members are paired with one of them, the pivot: the member that meets the most
+others over all its buckets, for the text that the others were made from, if it is there, meets more than they
+meet each other. A bucket of n copies costs n tests.
+
+Phase two, for what shares a bucket and is still apart: the elements that a set has for itself among all sets
+still in play are counted; they bound the similarity that it can have with any other. Sets that cannot reach
+the threshold with anything in the bucket leave it, pairs that cannot reach it are not formed, and every pair
+that is left across components is tested. The bound is exact, so nothing that shares a bucket is lost; it
+empties large groups of copies, whose stragglers are those with many changes of their own.
+
+DataFrame operations only.
 """
 
 from __future__ import annotations
@@ -14,33 +21,59 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from motifknn.llm.components import connected_components
-from motifknn.llm.scratch import materialise
+from motifknn.llm.scratch import materialise, release
+
+
+def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose sets (rep, set) have 100 * intersection >= percent * union, as a written table."""
+    common = F.size(F.array_intersect("x", "y"))
+    both = pairs.join(sets.select(F.col("rep").alias("a"), F.col("set").alias("x")), "a").join(sets.select(F.col("rep").alias("b"), F.col("set").alias("y")), "b")
+    return materialise(both.where(common * 100 >= (F.size("x") + F.size("y") - common) * percent).select("a", "b").distinct())
+
 
+def _pairs(near: DataFrame, test: Column) -> DataFrame:
+    return near.where((F.col("x.comp") != F.col("y.comp")) & test).select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")).distinct()
 
-def link_components(members: DataFrame, extras: list[str], may_link: Callable[[Column, Column], Column], confirm: Callable[[DataFrame], DataFrame], drawn_rounds: int = 2) -> DataFrame | None:
-    """(node, component) from ``members`` (bucket, rep, *extras), or None if nothing is linked.
 
-    ``may_link(x, y)`` is a cheap test on two structs of rep and extras; ``confirm(pairs)`` gets (a, b) and
-    returns those that are linked, as a written table.
+def _sizes(x: Column, y: Column, percent: int) -> Column:
+    return F.least(x["n"], y["n"]) * 100 >= F.greatest(x["n"], y["n"]) * percent
+
+
+def link_components(members: DataFrame, extras: list[str], may_link: Callable[[Column, Column], Column], sets: Callable[[DataFrame], DataFrame], percent: int, keep_sets: bool = False) -> DataFrame | None:
+    """(node, component) from ``members`` (bucket, rep, n = size of its set, *extras), or None if nothing is linked.
+
+    ``may_link(x, y)`` is a cheap test on two structs of rep, n and extras; ``sets(ids)`` gives (rep, set) of
+    the ids (rep) asked for, or of more, as a written table, which goes after use unless ``keep_sets``.
     """
-    links = comps = tested = None
-    for r in range(drawn_rounds + 1):
-        now = members if comps is None else members.join(comps, members["rep"] == comps["node"], "left")
-        x = now.select("bucket", F.struct("rep", *extras, (F.col("rep") if comps is None else F.coalesce("component", "rep")).alias("comp")).alias("x"))
-        if r < drawn_rounds:
-            other = x.groupBy("bucket").agg(F.min(F.struct(F.xxhash64(F.col("x.rep"), F.lit(r)).alias("draw"), "x")).alias("y"), F.min("x.comp").alias("lo"), F.max("x.comp").alias("hi")).where("lo < hi").select("bucket", F.col("y.x").alias("y"))
-            near = x.join(other, "bucket")
-        else:
-            held = x.groupBy("bucket", "x.comp").agg(F.count(F.lit(1)).alias("size")).groupBy("bucket").agg(F.max(F.struct("size", "comp")).alias("main"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
-            apart = x.join(held.select("bucket", F.col("main.comp").alias("main")), "bucket").where("x.comp != main").select("bucket", F.col("x").alias("y"))
-            near = x.join(apart, "bucket")
-        pairs = near.where((F.col("x.comp") != F.col("y.comp")) & may_link(F.col("x"), F.col("y"))).select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")).distinct()
-        pairs = materialise(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"))
-        if pairs.isEmpty():
-            continue
-        found = confirm(pairs)
-        tested = pairs if tested is None else tested.union(pairs)
+    x, y = F.col("x"), F.col("y")
+    members = members.join(members.groupBy("bucket").agg(F.count(F.lit(1)).alias("_size")), "bucket")
+    members = materialise(members.drop("_size").join(members.groupBy("rep").agg(F.sum("_size").alias("meets")), "rep"))
+    dealt = members.select("bucket", F.struct("rep", "n", *extras, "meets", F.col("rep").alias("comp")).alias("x"))
+    pivot = dealt.groupBy("bucket").agg(F.min(F.struct((-F.col("x.meets")).alias("m"), F.col("x.rep").alias("r"), "x")).alias("y")).select("bucket", F.col("y.x").alias("y"))
+    pairs = materialise(_pairs(dealt.join(pivot, "bucket"), _sizes(x, y, percent) & may_link(x, y)))
+    own = sets(pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct())
+    links = confirm(pairs, own, percent)
+    release(None if keep_sets else own)
+    comps = None if links.isEmpty() else connected_components(links)
+
+    now = members if comps is None else members.join(comps, members["rep"] == comps["node"], "left")
+    now = now.select("bucket", "rep", "n", *extras, (F.col("rep") if comps is None else F.coalesce("component", "rep")).alias("comp"))
+    apart = now.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("bucket")
+    active = materialise(now.join(apart, "bucket"))
+    own = sets(active.select("rep").distinct())
+    private = own.select("rep", F.explode("set").alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count(F.lit(1)).alias("alone"))
+    active = active.join(private, "rep", "left").withColumn("shared", F.col("n") - F.coalesce("alone", F.lit(0))).drop("alone")
+    least = active.groupBy("bucket").agg(F.min("n").alias("least_n"))
+    able = materialise(active.join(least, "bucket").where(F.col("shared") * 100 >= (F.col("n") + F.greatest("least_n", "shared") - F.col("shared")) * percent))
+    kinds = able.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("size")).groupBy("bucket").agg(F.max(F.struct("size", "comp")).alias("main"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("bucket", F.col("main.comp").alias("main"))
+    left = able.select("bucket", F.struct("rep", "n", *extras, "shared", "comp").alias("x"))
+    strays = left.join(kinds, "bucket").where("x.comp != main").select("bucket", F.col("x").alias("y"))
+    most = F.least(x["shared"], y["shared"])
+    more = _pairs(left.join(strays, "bucket"), (most * 100 >= (x["n"] + y["n"] - most) * percent) & _sizes(x, y, percent) & may_link(x, y))
+    more = materialise(more.join(pairs, ["a", "b"], "left_anti"))
+    if not more.isEmpty():
+        found = confirm(more, own, percent)
         if not found.isEmpty():
-            links = found if links is None else links.union(found)
-            comps = connected_components(links)
+            comps = connected_components(links.union(found))
+    release(None if keep_sets else own, able)
     return comps

@@ -72,17 +72,9 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent
     several = materialise(dealt.groupBy("bucket").agg(F.min("h").alias("lo"), F.max("h").alias("hi")).where("lo < hi").select("bucket"))
     members = materialise(dealt.join(_few(several), "bucket").groupBy("bucket", F.col("h").alias("rep")).agg(F.max("n").alias("n")))
     needed = materialise(members.select(F.col("rep").alias("h")).distinct())
-    sets = materialise(lines.join(_few(needed), "h").groupBy("h").agg(F.min("line").alias("line")).select("h", F.array_distinct(shingles(F.col("line"))).alias("set")))
+    sets = materialise(lines.join(_few(needed), "h").groupBy(F.col("h").alias("rep")).agg(F.min("line").alias("line")).select("rep", F.array_distinct(shingles(F.col("line"))).alias("set")))
 
-    def confirm(pairs: DataFrame) -> DataFrame:
-        common = F.size(F.array_intersect("x", "y"))
-        both = pairs.join(sets.select(F.col("h").alias("a"), F.col("set").alias("x")), "a").join(sets.select(F.col("h").alias("b"), F.col("set").alias("y")), "b")
-        return materialise(both.where(common * 100 >= (F.size("x") + F.size("y") - common) * percent).select("a", "b"))
-
-    def sizes(x: Column, y: Column) -> Column:
-        return F.least(x["n"], y["n"]) * 100 >= F.greatest(x["n"], y["n"]) * percent
-
-    comps = link_components(members, ["n"], sizes, confirm)
+    comps = link_components(members, [], lambda x, y: F.lit(True), lambda ids: sets, percent, keep_sets=True)
     place = F.struct(F.col("doc").isNull().alias("none"), "doc", "line_no")
     classes = signed.groupBy("h").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("times"))
     if comps is None:

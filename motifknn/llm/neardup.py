@@ -7,9 +7,9 @@ bin takes all elements, so every coordinate fills. ``BANDS`` bands of the sketch
 two sets of similarity 0.8 share none with a probability of about 1e-7.
 
 Documents of one set are one class and are represented by their smallest id. Candidates come
-in rounds (see ``candidates``): a bucket of n copies costs about n tests rather than n squared, and nothing
-that shares a bucket stays untested. Sketch bits and set sizes drop pairs that cannot reach the threshold; the
-rest is confirmed on the full sets. Links are contracted to components by joins and aggregations; nothing is
+in two phases (see ``candidates``): a bucket of n copies costs about n tests rather than n squared, and nothing
+that shares a bucket and could be linked stays untested. Sketch bits and set sizes drop pairs that cannot reach
+the threshold; the rest is confirmed on the full sets. Links are contracted to components by joins and aggregations; nothing is
 gathered on the driver.
 
 Defined results: null or blank texts have an empty set, are linked with nothing and kept. A row with a null
@@ -143,26 +143,11 @@ def full_sets(docs: DataFrame, width: int = 4) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, shingles array<long>")
 
 
-def _may_link(percent: int):
-    def test(x: Column, y: Column) -> Column:
-        differ = F.bit_count(x["bits_a"].bitwiseXOR(y["bits_a"])) + F.bit_count(x["bits_b"].bitwiseXOR(y["bits_b"]))
-        return (F.least(x["n"], y["n"]) * 100 >= F.greatest(x["n"], y["n"]) * percent) & (differ <= COORDS - LEAST_BITS)
+def _may_link(x: Column, y: Column) -> Column:
+    return F.bit_count(x["bits_a"].bitwiseXOR(y["bits_a"])) + F.bit_count(x["bits_b"].bitwiseXOR(y["bits_b"])) <= COORDS - LEAST_BITS
 
-    return test
 
-
-def confirm(pairs: DataFrame, docs: DataFrame, percent: int = 80, width: int = 4) -> DataFrame:
-    """The pairs (a, b) whose full sets have 100 * intersection >= percent * union."""
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = materialise(full_sets(docs.join(ids, "doc_id", "left_semi"), width))
-    left, right = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x")), sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y"))
-    common = F.size(F.array_intersect("x", "y"))
-    found = materialise(pairs.join(left, "a").join(right, "b").select("a", "b", (common * 100 >= (F.size("x") + F.size("y") - common) * percent).alias("ok")).where("ok").select("a", "b").distinct())
-    release(sets)
-    return found
-
-
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 4, percent: int = 80, drawn_rounds: int = 2) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 4, percent: int = 80) -> DataFrame:
     """Per row of ``docs``: doc_id, n_shingles, component_id, kept."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     base = materialise(sketches(docs, width))
@@ -172,7 +157,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     several = dealt.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("bucket")
     members = materialise(dealt.join(several, "bucket").join(classes.select("rep", "n", "bits_a", "bits_b"), "rep"))
 
-    comps = link_components(members, ["n", "bits_a", "bits_b"], _may_link(percent), lambda pairs: confirm(pairs, docs, percent, width), drawn_rounds)
+
+    def sets_of(ids: DataFrame) -> DataFrame:
+        return materialise(full_sets(docs.join(ids.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), width).select(F.col("doc_id").alias("rep"), F.col("shingles").alias("set")))
+
+    comps = link_components(members, ["bits_a", "bits_b"], _may_link, sets_of, percent)
     named = classes.select("key_a", "key_b", "rep")
     named = named.select("key_a", "key_b", F.col("rep").alias("component_id")) if comps is None else named.join(comps, named["rep"] == comps["node"], "left").select("key_a", "key_b", F.coalesce("component", "rep").alias("component_id"))
     of = sets.select("doc_id", "n", "key_a", "key_b").join(named, ["key_a", "key_b"]).select("doc_id", "n", "component_id")
