@@ -62,8 +62,8 @@ def targets(sums: DataFrame, source: str, schedules=SCHEDULES, share: float = 1.
     ranked = ranked.withColumn("caps", F.sum("cap").over(upto)).withColumn("weights", F.sum("weight").over(all_) - F.sum("weight").over(upto)).withColumn("budget", F.sum("source_size").over(all_) * F.lit(share))
     # the first source that is not full at the water level, and the level there
     level = (F.col("budget") - (F.col("caps") - F.col("cap"))) / (F.col("weights") + F.col("weight"))
-    ranked = ranked.withColumn("level", F.min(F.when(F.col("caps") + F.col("full_at") * F.col("weights") >= F.col("budget"), level)).over(all_))
-    # levels fall as more sources are counted full only while they are not; the lowest valid one is the water level
+    ranked = ranked.withColumn("level", F.max(F.when(F.col("caps") + F.col("full_at") * F.col("weights") >= F.col("budget"), level)).over(all_))
+    # past that source the quotient falls, for sources would be counted full that are not: the highest is the water level
     return ranked.withColumn("target", F.when(F.col("level").isNull(), F.col("cap")).otherwise(F.least("cap", F.col("level") * F.col("weight")))).select(source, "rows", "source_size", "kind", "target")
 
 
@@ -116,7 +116,7 @@ w AS (SELECT *, CAST(CASE kind WHEN 0 THEN 3 WHEN 1 THEN 1 ELSE 2 END AS DOUBLE)
 r AS (SELECT *, cap / weight AS full_at FROM w),
 p AS (SELECT *, sum(cap) OVER o AS caps, sum(weight) OVER () - sum(weight) OVER o AS above, CAST(sum(source_size) OVER () AS DOUBLE) * 1.5::DOUBLE AS budget
       FROM r WINDOW o AS (ORDER BY full_at, source NULLS LAST ROWS UNBOUNDED PRECEDING)),
-l AS (SELECT min((budget - (caps - cap)) / (above + weight)) FILTER (WHERE caps + full_at * above >= budget) AS level FROM p),
+l AS (SELECT max((budget - (caps - cap)) / (above + weight)) FILTER (WHERE caps + full_at * above >= budget) AS level FROM p),
 t AS (SELECT source, source_size, kind, CASE WHEN level IS NULL THEN cap ELSE least(cap, level * weight) END AS target FROM p, l),
 j AS (SELECT d.doc_id, d.size, t.source_size, t.kind, t.target, CAST(sum(d.size) OVER (PARTITION BY d.source ORDER BY d.k, d.doc_id, d.size ROWS UNBOUNDED PRECEDING) - d.size AS BIGINT) AS before,
       CASE WHEN t.source_size > 0 THEN CAST(floor(t.target / t.source_size) AS BIGINT) ELSE 0 END AS rounds FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
