@@ -7,8 +7,8 @@ meet each other. A bucket of n copies costs n tests.
 Phase two, for what shares a bucket and is still apart: the elements that a set has for itself among all sets
 still in play are counted; they bound the similarity that it can have with any other. Sets that cannot reach
 the threshold with anything in the bucket leave it, pairs that cannot reach it are not formed, and every pair
-that is left across components is tested. The bound is exact, so nothing that shares a bucket is lost; it
-empties large groups of copies, whose stragglers are those with many changes of their own.
+that is left across components is tested. The bound is exact, so nothing that shares a bucket is lost; a
+pair is formed in the first of the buckets that it shares, once.
 
 DataFrame operations only.
 """
@@ -58,7 +58,8 @@ def link_components(members: DataFrame, extras: list[str], may_link: Callable[[C
 
     now = members if comps is None else members.join(comps, members["rep"] == comps["node"], "left")
     now = now.select("bucket", "rep", "n", *extras, (F.col("rep") if comps is None else F.coalesce("component", "rep")).alias("comp"))
-    apart = now.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("bucket")
+    # a bucket of two has been tested whole
+    apart = now.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("size")).where("lo < hi and size > 2").select("bucket")
     active = materialise(now.join(apart, "bucket"))
     own = sets(active.select("rep").distinct())
     private = own.select("rep", F.explode("set").alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count(F.lit(1)).alias("alone"))
@@ -66,10 +67,11 @@ def link_components(members: DataFrame, extras: list[str], may_link: Callable[[C
     least = active.groupBy("bucket").agg(F.min("n").alias("least_n"))
     able = materialise(active.join(least, "bucket").where(F.col("shared") * 100 >= (F.col("n") + F.greatest("least_n", "shared") - F.col("shared")) * percent))
     kinds = able.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("size")).groupBy("bucket").agg(F.max(F.struct("size", "comp")).alias("main"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("bucket", F.col("main.comp").alias("main"))
-    left = able.select("bucket", F.struct("rep", "n", *extras, "shared", "comp").alias("x"))
+    lists = able.groupBy("rep").agg(F.collect_set("bucket").alias("buckets"))  # as many as bands at most
+    left = able.join(lists, "rep").select("bucket", F.struct("rep", "n", *extras, "shared", "buckets", "comp").alias("x"))
     strays = left.join(kinds, "bucket").where("x.comp != main").select("bucket", F.col("x").alias("y"))
     most = F.least(x["shared"], y["shared"])
-    more = _pairs(left.join(strays, "bucket"), (most * 100 >= (x["n"] + y["n"] - most) * percent) & _sizes(x, y, percent) & may_link(x, y))
+    more = _pairs(left.join(strays, "bucket"), (most * 100 >= (x["n"] + y["n"] - most) * percent) & _sizes(x, y, percent) & may_link(x, y) & (F.array_min(F.array_intersect(x["buckets"], y["buckets"])) == F.col("bucket")))
     more = materialise(more.join(pairs, ["a", "b"], "left_anti"))
     if not more.isEmpty():
         found = confirm(more, own, percent)

@@ -26,12 +26,10 @@ from pyspark.sql import functions as F
 
 from motifknn.llm.candidates import link_components
 from motifknn.llm.quality import let
-from motifknn.llm.scratch import materialise
+from motifknn.llm.scratch import few, materialise
 
 WIDTH, ROWS, BANDS, LEAST_CHARS = 10, 2, 8, 40
 PERCENT = 80
-#: The smaller side of a join is sent to every executor up to so many rows of a few dozen bytes; beyond, both sides are exchanged.
-FEW = 400_000
 _draw = random.Random(20)
 MASKS = [_draw.getrandbits(64) - (1 << 63) for _ in range(ROWS * BANDS)]
 
@@ -53,11 +51,6 @@ def bands(hashes: Column) -> Column:
     return F.array(*[F.xxhash64(F.lit(b), *least[b * ROWS : (b + 1) * ROWS]) for b in range(BANDS)])
 
 
-def _few(small: DataFrame) -> DataFrame:
-    """``small``, a written table, to be broadcast if it has few rows."""
-    return F.broadcast(small) if small.count() <= FEW else small
-
-
 def numbered_lines(docs: DataFrame, id_col: str, text: str) -> DataFrame:
     """(doc, line_no, line, h) of the lines that are long enough."""
     lines = docs.select(F.col(id_col).alias("doc"), F.posexplode(F.split(text, "\n")).alias("line_no", "line"))
@@ -70,9 +63,9 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent
     signed = materialise(lines.select("h", "doc", "line_no", let(shingles(F.col("line")), lambda s: F.struct(bands(s).alias("bands"), F.size(F.array_distinct(s)).alias("n"))).alias("s")).select("h", "doc", "line_no", F.col("s.bands").alias("bands"), F.col("s.n").alias("n")))
     dealt = signed.select("h", "n", F.explode("bands").alias("bucket"))
     several = materialise(dealt.groupBy("bucket").agg(F.min("h").alias("lo"), F.max("h").alias("hi")).where("lo < hi").select("bucket"))
-    members = materialise(dealt.join(_few(several), "bucket").groupBy("bucket", F.col("h").alias("rep")).agg(F.max("n").alias("n")))
+    members = materialise(dealt.join(few(several), "bucket").groupBy("bucket", F.col("h").alias("rep")).agg(F.max("n").alias("n")))
     needed = materialise(members.select(F.col("rep").alias("h")).distinct())
-    sets = materialise(lines.join(_few(needed), "h").groupBy(F.col("h").alias("rep")).agg(F.min("line").alias("line")).select("rep", F.array_distinct(shingles(F.col("line"))).alias("set")))
+    sets = materialise(lines.join(few(needed), "h").groupBy(F.col("h").alias("rep")).agg(F.min("line").alias("line")).select("rep", F.array_distinct(shingles(F.col("line"))).alias("set")))
 
     comps = link_components(members, [], lambda x, y: F.lit(True), lambda ids: sets, percent, keep_sets=True)
     place = F.struct(F.col("doc").isNull().alias("none"), "doc", "line_no")
@@ -83,14 +76,14 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent
         named = materialise(classes.join(comps, classes["h"] == comps["node"], "left").where("times > 1 or component is not null").select("h", "first", F.coalesce("component", "h").alias("component")))
         keepers = named.join(named.groupBy("component").agg(F.min("first").alias("keep")), "component").select("h", F.col("keep").alias("first"))
     keepers = materialise(keepers)
-    return signed.select("h", "doc", "line_no").join(_few(keepers), "h").where(~(F.col("doc").eqNullSafe(F.col("first.doc")) & (F.col("line_no") == F.col("first.line_no")))).select("doc", "line_no")
+    return signed.select("h", "doc", "line_no").join(few(keepers), "h").where(~(F.col("doc").eqNullSafe(F.col("first.doc")) & (F.col("line_no") == F.col("first.line_no")))).select("doc", "line_no")
 
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = PERCENT) -> DataFrame:
     """``docs`` with the text less its repeated lines, and _n_lines, _n_kept."""
     gone = materialise(repeats(docs, id_col, text, percent).groupBy("doc").agg(F.collect_set("line_no").alias("gone")))
     lines = F.split(text, "\n")
-    joined = docs.join(_few(gone), docs[id_col].eqNullSafe(gone["doc"]), "left")
+    joined = docs.join(few(gone), docs[id_col].eqNullSafe(gone["doc"]), "left")
 
     def rest(x: Column) -> Column:
         stay = F.array_except(F.sequence(F.lit(0), F.size(x) - 1), F.col("gone"))

@@ -26,13 +26,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from motifknn.llm.candidates import link_components
-from motifknn.llm.scratch import materialise, release
+from motifknn.llm.scratch import few, materialise
 from motifknn.llm.tokens import by_bytes
 
 ROWS, BANDS = 4, 30
 COORDS = ROWS * BANDS
-#: Of the COORDS low bits of a sketch, two sets of similarity 0.8 share 108 on average; under 88 is six deviations away.
-LEAST_BITS = 88
+#: A second sketch gives this many bits. Two sets of similarity 0.8 share 461 of them on average; fewer than LEAST_BITS has a probability under 1e-6.
+BITS, LEAST_BITS = 512, 421
 BATCH = 4 << 20
 _NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
 _BLANK = np.zeros(256, bool)
@@ -107,25 +107,24 @@ def band_keys(s: np.ndarray, rows: int = ROWS) -> np.ndarray:
     return x
 
 
-def _bits(s: np.ndarray) -> tuple[int, int]:
-    packed = np.zeros(16, np.uint8)
-    packed[: COORDS // 8] = np.packbits((mix(s) & np.uint64(1)).astype(np.uint8))
-    return tuple(int(x) for x in packed.view("<i8"))
+def bits_of(elements: np.ndarray) -> np.ndarray:
+    """One bit of each coordinate of a sketch of BITS coordinates, as signed words."""
+    return np.packbits((mix(sketch(elements, BITS)) & np.uint64(1)).astype(np.uint8)).view("<i8")
 
 
 def sketches(docs: DataFrame, width: int = 4) -> DataFrame:
-    """(doc_id, n, key_a, key_b, bits_a, bits_b, bands) from (doc_id, text); the keys name the set."""
-    schema = "doc_id long, n long, key_a long, key_b long, bits_a long, bits_b long, bands array<long>"
+    """(doc_id, n, key_a, key_b, bits, bands) from (doc_id, text); the keys name the set."""
+    schema = "doc_id long, n long, key_a long, key_b long, bits array<long>, bands array<long>"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in by_bytes(batches, "text", BATCH):
             sets = shingle_sets(b.column(1).to_pylist(), width)
             drawn = [sketch(s) if len(s) else None for s in sets]
             keys = [np.array([mix(s).sum(dtype=np.uint64), mix(s ^ np.uint64(0xA5A5A5A55A5A5A5A)).sum(dtype=np.uint64)]).view(np.int64) for s in sets]
-            bits = [(0, 0) if d is None else _bits(d) for d in drawn]
+            bits = [bits_of(s) if len(s) else [] for s in sets]
             bands = [[] if d is None else band_keys(d).view(np.int64) for d in drawn]
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array([len(s) for s in sets], pa.int64()), *(pa.array([int(k[j]) for k in keys], pa.int64()) for j in (0, 1)), *(pa.array([k[j] for k in bits], pa.int64()) for j in (0, 1)), pa.array(bands, pa.list_(pa.int64()))],
+                [b.column(0), pa.array([len(s) for s in sets], pa.int64()), *(pa.array([int(k[j]) for k in keys], pa.int64()) for j in (0, 1)), pa.array(bits, pa.list_(pa.int64())), pa.array(bands, pa.list_(pa.int64()))],
                 [x.split()[0] for x in schema.split(", ")],
             )
 
@@ -144,7 +143,8 @@ def full_sets(docs: DataFrame, width: int = 4) -> DataFrame:
 
 
 def _may_link(x: Column, y: Column) -> Column:
-    return F.bit_count(x["bits_a"].bitwiseXOR(y["bits_a"])) + F.bit_count(x["bits_b"].bitwiseXOR(y["bits_b"])) <= COORDS - LEAST_BITS
+    differ = F.aggregate(F.zip_with(x["bits"], y["bits"], lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda a, b: a + b)
+    return differ <= BITS - LEAST_BITS
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 4, percent: int = 80) -> DataFrame:
@@ -152,16 +152,16 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     base = materialise(sketches(docs, width))
     sets = base.where("n > 0 and doc_id is not null")
-    classes = materialise(sets.groupBy("key_a", "key_b").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("bits_a").alias("bits_a"), F.first("bits_b").alias("bits_b"), F.first("bands").alias("bands")))
+    classes = materialise(sets.groupBy("key_a", "key_b").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("bits").alias("bits"), F.first("bands").alias("bands")))
     dealt = classes.select("rep", F.explode("bands").alias("bucket"))
-    several = dealt.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("bucket")
-    members = materialise(dealt.join(several, "bucket").join(classes.select("rep", "n", "bits_a", "bits_b"), "rep"))
+    several = materialise(dealt.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("bucket"))
+    members = materialise(dealt.join(few(several), "bucket").join(classes.select("rep", "n", "bits"), "rep"))
 
 
     def sets_of(ids: DataFrame) -> DataFrame:
-        return materialise(full_sets(docs.join(ids.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), width).select(F.col("doc_id").alias("rep"), F.col("shingles").alias("set")))
+        return materialise(full_sets(docs.join(few(materialise(ids.select(F.col("rep").alias("doc_id")))), "doc_id", "left_semi"), width).select(F.col("doc_id").alias("rep"), F.col("shingles").alias("set")))
 
-    comps = link_components(members, ["bits_a", "bits_b"], _may_link, sets_of, percent)
+    comps = link_components(members, ["bits"], _may_link, sets_of, percent)
     named = classes.select("key_a", "key_b", "rep")
     named = named.select("key_a", "key_b", F.col("rep").alias("component_id")) if comps is None else named.join(comps, named["rep"] == comps["node"], "left").select("key_a", "key_b", F.coalesce("component", "rep").alias("component_id"))
     of = sets.select("doc_id", "n", "key_a", "key_b").join(named, ["key_a", "key_b"]).select("doc_id", "n", "component_id")

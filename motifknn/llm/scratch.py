@@ -11,6 +11,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _left: list[tuple[SparkSession, str]] = []
 
@@ -26,7 +27,7 @@ def folder(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
-def materialise(df: DataFrame, *partition_hint: str) -> DataFrame:
+def materialise(df: DataFrame) -> DataFrame:
     """Write ``df`` to the shared folder and return the table read back; it goes when the program ends."""
     spark = df.sparkSession
     path = f"{folder(spark)}/t-{uuid.uuid4().hex}"
@@ -39,6 +40,15 @@ def materialise(df: DataFrame, *partition_hint: str) -> DataFrame:
     return out
 
 
+#: A written table of keys is sent to every executor up to so many rows (of a few dozen bytes each); beyond, both sides of a join are exchanged.
+FEW = 400_000
+
+
+def few(small: DataFrame) -> DataFrame:
+    """``small``, a written table, to be broadcast if its rows, counted, are at most FEW."""
+    return F.broadcast(small) if small.count() <= FEW else small
+
+
 def release(*tables: DataFrame | None) -> None:
     """Delete tables from ``materialise`` that no later plan reads."""
     for t in tables:
