@@ -21,19 +21,21 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Frequent function words by language; fixed values.
+#: Frequent function words by language, as whole lower-case words; fixed values.
 COMMON = {
-    "en": "the of and to in is that it was for on are with as by be".split(),
-    "de": "der die und das den von zu mit sich des auf ist im dem nicht ein".split(),
-    "fr": "de la le et les des en un du une que est pour qui dans par".split(),
-    "es": "de la que el en y los se del las un por con no una su".split(),
+    "en": "the of and to in is that it was for".split(),
+    "de": "der die und das den von zu mit sich im".split(),
+    "fr": "de la le et les des en un du que".split(),
+    "es": "de la que el en y los se del con".split(),
 }
 WORDS = sorted({w for ws in COMMON.values() for w in ws})
-#: Classes of visible characters, as regular expressions of what is not in them; what is left is a class too.
-CLASSES = ("[^a-z]+", "[^A-Z]+", "[^0-9]+", r"[^.,;:?'\"()\-]+", r"[^#*$%&|<>!=+@^~`\\/_{}\[\]]+")
+#: Characters by class: what is not in the class. Symbols are a class as well, and what is left is one.
+CLASSES = ("[^a-z]+", "[^A-Z]+", r"[^.,;:?'\"()\-]+")
+SYMBOLS = r"[^#*$%&|<>]+"
+CELLS = len(CLASSES) + 2
 LEAST_CHARS, LEAST_WORDS = 200, 80
 #: Distances above these are too far; the sampling noise of n words, NOISE / sqrt(n), is allowed for.
-MOST_CHARS, MOST_WORDS, NOISE = 0.30, 0.17, 2.0
+MOST_CHARS, MOST_WORDS, NOISE = 0.30, 0.13, 2.0
 BLANKS = r"[\x20\x09-\x0D]+"
 
 
@@ -66,34 +68,33 @@ def repeated_words(w: Column) -> Column:
     return F.when(n < 2, F.lit(0)).otherwise(let(windows, by_hash)).cast("long")
 
 
-def base_stats(text: Column) -> Column:
-    """Struct of n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words."""
-    lines = F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+def features(text: Column, base: bool = True) -> Column:
+    """Struct of the base statistics (n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words; if ``base``), chars
+    (counts by class) and common (counts by frequent word, then all other words)."""
     whole = F.coalesce(text, F.lit(""))
-    return let(
-        words_of(text),
-        lambda w: F.struct(
-            F.size(w).cast("long").alias("n_words"),
-            F.char_length(F.array_join(w, "")).cast("long").alias("word_chars"),
-            F.char_length(F.regexp_replace(whole, r"[^#*$%&|<>]+", "")).cast("long").alias("n_symbols"),
-            let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
-            repeated_words(w).alias("n_repeat_words"),
-        ),
-    )
+    lines = F.filter(F.split(whole, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
 
+    def count(but: str) -> Column:
+        return F.char_length(F.regexp_replace(whole, but, ""))
 
-def histograms(text: Column) -> Column:
-    """Struct of chars (counts by class) and common (counts by frequent word, then all other words)."""
-    whole = F.coalesce(text, F.lit(""))
-    found = [F.char_length(F.regexp_replace(whole, c, "")) for c in CLASSES]
-    seen = F.char_length(F.regexp_replace(whole, BLANKS, ""))
-    chars = let(F.array(*found, seen), lambda c: F.concat(F.slice(c, 1, len(CLASSES)), F.array(F.element_at(c, -1) * 2 - F.aggregate(c, F.lit(0), lambda a, x: a + x))))
+    def classes(c: Column) -> Column:
+        # c: the classes, symbols, all visible characters
+        return F.concat(F.slice(c, 1, CELLS - 1), F.array(F.element_at(c, -1) * 2 - F.aggregate(c, F.lit(0), lambda a, x: a + x)))
 
-    def common(w: Column) -> Column:
-        return let(F.filter(w, lambda x: x.isin(WORDS)), lambda k: F.concat(F.transform(F.lit(WORDS), lambda x: F.size(k) - F.size(F.array_remove(k, x))), F.array(F.size(w) - F.size(k))))
+    def common(k: Column, w: Column) -> Column:
+        return F.concat(F.transform(F.lit(WORDS), lambda x: F.size(k) - F.size(F.array_remove(k, x))), F.array(F.size(w) - F.size(k)))
+
+    def of(w: Column) -> Column:
+        stats = [
+            F.size(w).cast("long").alias("n_words"),
+            let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
+            repeated_words(w).alias("n_repeat_words"),
+        ]
+        cells = F.array(*[count(c) for c in (*CLASSES, SYMBOLS)], F.char_length(F.array_join(w, "")))
+        seen = let(cells, lambda c: F.struct(F.element_at(c, -1).cast("long").alias("word_chars"), F.element_at(c, -2).cast("long").alias("n_symbols"), classes(c).alias("chars")))
+        return F.struct(*(stats if base else []), seen.alias("seen"), let(F.filter(w, lambda x: x.isin(WORDS)), lambda k: common(k, w)).alias("common"))
 
-    bare = F.transform(F.filter(F.split(whole, BLANKS), lambda w: w != ""), lambda w: F.lower(F.rtrim(w, F.lit(".,;:!?"))))
-    return F.struct(chars.alias("chars"), let(bare, common).alias("common"))
+    return let(words_of(text), of)
 
 
 def distance(counts: Column, reference: list[float]) -> Column:
@@ -112,14 +113,14 @@ def distance(counts: Column, reference: list[float]) -> Column:
 def references(docs: DataFrame, text: str = "text", lang: str = "lang") -> dict[str, tuple[list[float], list[float]]]:
     """(character classes, common words) of each language; one row per language and cell comes to the driver."""
     tag = F.when(F.col(lang).isin(list(COMMON)), F.col(lang)).otherwise(F.lit("other"))
-    h = docs.select(tag.alias("tag"), histograms(F.col(text)).alias("h")).select("tag", F.posexplode(F.concat("h.chars", "h.common")).alias("cell", "n"))
+    h = docs.select(tag.alias("tag"), features(F.col(text), base=False).alias("h")).select("tag", F.posexplode(F.concat("h.seen.chars", "h.common")).alias("cell", "n"))
     sums: dict[str, dict[int, int]] = {}
     for r in h.groupBy("tag", "cell").agg(F.sum(F.col("n").cast("long")).alias("n")).collect():
         sums.setdefault(r["tag"], {})[r["cell"]] = r["n"]
     out = {}
     for tag_, cells in sums.items():
-        flat = [cells[i] for i in range(len(CLASSES) + 1 + len(WORDS) + 1)]
-        a, b = flat[: len(CLASSES) + 1], flat[len(CLASSES) + 1 :]
+        flat = [cells[i] for i in range(CELLS + len(WORDS) + 1)]
+        a, b = flat[:CELLS], flat[CELLS:]
         if sum(a) and sum(b):
             out[tag_] = ([x / sum(a) for x in a], [x / sum(b) for x in b])
     return out
@@ -128,13 +129,13 @@ def references(docs: DataFrame, text: str = "text", lang: str = "lang") -> dict[
 def judge(docs: DataFrame, text: str = "text", lang: str = "lang", most_chars: float = MOST_CHARS, most_words: float = MOST_WORDS) -> DataFrame:
     """``docs`` with base statistics, base_failed, kept, the nearest language and the distances to it."""
     known = references(docs, text, lang)
-    stats = docs.withColumn("_base", base_stats(F.col(text))).withColumn("_h", histograms(F.col(text)))
-    options = [F.struct((c + w).alias("sum"), F.lit(name).alias("near_lang"), c.alias("char_distance"), w.alias("word_distance")) for name, (a, b) in sorted(known.items()) for c, w in [(distance(F.col("_h.chars"), a), distance(F.col("_h.common"), b))]]
+    stats = docs.withColumn("_h", features(F.col(text)))
+    options = [F.struct((c + w).alias("sum"), F.lit(name).alias("near_lang"), c.alias("char_distance"), w.alias("word_distance")) for name, (a, b) in sorted(known.items()) for c, w in [(distance(F.col("_h.seen.chars"), a), distance(F.col("_h.common"), b))]]
     nearest = F.array_min(F.array(*[F.when(o["sum"].isNotNull(), o) for o in options])) if options else F.lit(None).cast("struct<sum:double,near_lang:string,char_distance:double,word_distance:double>")
-    visible = F.aggregate(F.col("_h.chars"), F.lit(0), lambda a, x: a + x)
-    failed = (F.col("_base.n_words") < 50) | (F.col("_base.n_repeat_words") * 100 > F.col("_base.n_words") * 50)
-    far = ((visible >= LEAST_CHARS) & (F.col("_n.char_distance") > most_chars)) | ((F.col("_base.n_words") >= LEAST_WORDS) & (F.col("_n.word_distance") > most_words + F.lit(NOISE) / F.sqrt("_base.n_words")))
-    return stats.withColumn("_n", nearest).select(*[F.col(f"`{c}`") for c in docs.columns], "_base.*", failed.alias("base_failed"), (~failed & ~F.coalesce(far, F.lit(False))).alias("kept"), "_n.near_lang", "_n.char_distance", "_n.word_distance")
+    visible = F.aggregate(F.col("_h.seen.chars"), F.lit(0), lambda a, x: a + x)
+    failed = (F.col("_h.n_words") < 50) | (F.col("_h.n_repeat_words") * 100 > F.col("_h.n_words") * 50)
+    far = ((visible >= LEAST_CHARS) & (F.col("_n.char_distance") > most_chars)) | ((F.col("_h.n_words") >= LEAST_WORDS) & (F.col("_n.word_distance") > most_words + F.lit(NOISE) / F.sqrt("_h.n_words")))
+    return stats.withColumn("_n", nearest).select(*[F.col(f"`{c}`") for c in docs.columns], "_h.n_words", "_h.seen.word_chars", "_h.seen.n_symbols", "_h.n_dup_lines", "_h.n_repeat_words", failed.alias("base_failed"), (~failed & ~F.coalesce(far, F.lit(False))).alias("kept"), "_n.near_lang", "_n.char_distance", "_n.word_distance")
 
 
 def op2_distribution_quality(spark, sf_dir: str) -> DataFrame:
