@@ -468,5 +468,5 @@ _add("a08_growth_slope_title28", _a08, _a08_sql())
 
 # --- corpora as workloads
 for _n in CORPORA:
-    _add(f"w_corpus_{_n}", lambda s, d, n=_n: corpus(s, d, n).select("id", "seq", F.round(F.aggregate(F.transform("vec", lambda x: x.cast("double")), F.lit(0.0), lambda a, x: a + x), 4).alias("total")), f"WITH corpus AS ({CORPORA[_n][1]}) SELECT id, seq, round(list_sum(list_transform(vec, lambda x: CAST(x AS DOUBLE))), 4) AS total FROM corpus")
+    _add(f"w_corpus_{_n}", lambda s, d, n=_n: corpus(s, d, n).select("id", "seq", F.round(F.aggregate(F.transform("vec", lambda x: x.cast("double")), F.lit(0.0), lambda a, x: a + x), 6).alias("total")), f"WITH corpus AS ({CORPORA[_n][1]}) SELECT id, seq, round(list_sum(list_transform(vec, lambda x: CAST(x AS DOUBLE))), 6) AS total FROM corpus")
 _add("w_queries_title28", lambda s, d: _setup(s, d, "title28")[1].select("qid", "pattern", F.round(F.element_at("qvec", 7), 6).alias("v7")), f"WITH {query_sql('title28', per_length=PER)} SELECT qid, pattern, round(qvec[7], 6) AS v7 FROM queries")

@@ -310,9 +310,9 @@ def _variant(spark, d):
 plain("op_sql_cte", "WITH big AS (SELECT * FROM {orders} WHERE o_totalprice > 250000), per AS (SELECT o_custkey, count(*) AS n FROM big GROUP BY o_custkey) SELECT n, count(*) AS customers FROM per GROUP BY n")
 
 
-@op("op_sql_recursive_walk", "WITH RECURSIVE t AS (SELECT 1 AS step, 'n' AS at UNION ALL SELECT step + 1, substring('nana', 1, step + 1) FROM t WHERE step < 4) SELECT step, at FROM t")
+@op("op_sql_recursive_walk", "WITH RECURSIVE t AS (SELECT 1 AS step, 'n' AS here UNION ALL SELECT step + 1, substring('nana', 1, step + 1) FROM t WHERE step < 4) SELECT step, here FROM t")
 def _recursive(spark, d):
-    return spark.sql("WITH RECURSIVE t(step, at) AS (SELECT 1, 'n' UNION ALL SELECT step + 1, substring('nana', 1, step + 1) FROM t WHERE step < 4) SELECT step, at FROM t")
+    return spark.sql("WITH RECURSIVE t(step, here) AS (SELECT 1, 'n' UNION ALL SELECT step + 1, substring('nana', 1, step + 1) FROM t WHERE step < 4) SELECT step, here FROM t")
 
 
 @op("op_sql_params", "SELECT doc_id FROM documents WHERE contains(text, 'ation') AND n_chars > 1000")
