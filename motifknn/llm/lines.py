@@ -81,13 +81,13 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = PERCENT) -> DataFrame:
     """``docs`` with the text less its repeated lines, and _n_lines, _n_kept."""
-    gone = materialise(repeats(docs, id_col, text, percent).groupBy("doc").agg(F.collect_set("line_no").alias("gone")))
+    gone = materialise(repeats(docs, id_col, text, percent).groupBy(F.col("doc").alias("_doc")).agg(F.collect_set("line_no").alias("_gone")))
     lines = F.split(text, "\n")
-    joined = docs.join(few(gone), docs[id_col].eqNullSafe(gone["doc"]), "left")
+    joined = docs.join(few(gone), F.col(id_col).eqNullSafe(F.col("_doc")), "left")
 
     def rest(x: Column) -> Column:
-        stay = F.array_except(F.sequence(F.lit(0), F.size(x) - 1), F.col("gone"))
-        return F.struct(F.size(x).alias("n"), F.when(F.col("gone").isNull(), F.size(x)).otherwise(F.size(stay)).alias("kept"), F.when(F.col("gone").isNull(), F.col(text)).otherwise(F.array_join(F.transform(stay, lambda i: F.get(x, i)), "\n")).alias("text"))
+        stay = F.array_except(F.sequence(F.lit(0), F.size(x) - 1), F.col("_gone"))
+        return F.struct(F.size(x).alias("n"), F.when(F.col("_gone").isNull(), F.size(x)).otherwise(F.size(stay)).alias("kept"), F.when(F.col("_gone").isNull(), F.col(text)).otherwise(F.array_join(F.transform(stay, lambda i: F.get(x, i)), "\n")).alias("text"))
 
     made = joined.withColumn("_lines", F.when(F.col(text).isNotNull(), let(lines, rest)))
     others = [F.col("_lines.text").alias(text) if c == text else F.col(f"`{c}`") for c in docs.columns]
