@@ -31,8 +31,8 @@ from motifknn.llm.tokens import by_bytes
 
 ROWS, BANDS = 4, 30
 COORDS = ROWS * BANDS
-#: A second sketch gives this many bits. Two sets of similarity 0.8 share 461 of them on average; fewer than LEAST_BITS has a probability under 1e-6.
-BITS, LEAST_BITS = 512, 421
+#: A second sketch gives this many bits. Two sets of similarity 0.8 share 922 of them on average; fewer than LEAST_BITS has a probability under 1e-6.
+BITS, LEAST_BITS = 1024, 865
 BATCH = 4 << 20
 _NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
 _BLANK = np.zeros(256, bool)
