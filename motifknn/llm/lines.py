@@ -1,8 +1,8 @@
 """Fuzzy line dedup by MinHash, DataFrame expressions only.
 
 A line's shingles are the runs of ``WIDTH`` characters that start where its words start, taken from the line
-with its letters lower-cased and its blanks evened. Shingle hashes are permuted by exclusive-or with fixed
-random words (the least result picks a uniformly random shingle, as the hashes are random); ``BANDS`` bands of
+with its letters lower-cased and its blanks evened. Shingles are hashed again under fixed random
+words, the least and the greatest result are a minimum each; ``BANDS`` bands of
 ``ROWS`` such minima are looked up by equality, which two lines of similarity 0.8 pass with 0.99996. Candidates
 are confirmed by the exact Jaccard similarity of their shingle sets, links are contracted to components by
 joins and aggregations, and of each component the line that comes first (by document id, then by place) stays.
@@ -46,10 +46,10 @@ def shingles(line: Column) -> Column:
 
 
 def signature(hashes: Column) -> Column:
-    """Struct of bands and of the minima's low bytes in two words. The greatest under a mask is the least under its complement."""
+    """Struct of bands and of the minima's low bytes in two words. The least and the greatest under one hash pick two shingles."""
 
     def ends_under(mask: int) -> Column:
-        return let(F.transform(hashes, lambda h: h.bitwiseXOR(F.lit(mask))), lambda x: F.array(F.array_min(x), F.array_max(x)))
+        return let(F.transform(hashes, lambda h: F.xxhash64(h.bitwiseXOR(F.lit(mask)))), lambda x: F.array(F.array_min(x), F.array_max(x)))
 
     def packed(least: Column, first: int) -> Column:
         out = F.get(least, F.lit(first)).bitwiseAND(F.lit(255))
@@ -112,7 +112,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", per
         stay = F.array_except(F.sequence(F.lit(0), F.size(x) - 1), F.col("_gone"))
         return F.struct(F.size(x).alias("n"), F.when(F.col("_gone").isNull(), F.size(x)).otherwise(F.size(stay)).alias("kept"), F.when(F.col("_gone").isNull(), F.col(text)).otherwise(F.array_join(F.transform(stay, lambda i: F.get(x, i)), "\n")).alias("text"))
 
-    made = joined.withColumn("_lines", F.when(F.col(text).isNotNull(), let(lines, rest)))
+    made = joined.withColumn("_lines", F.explode(F.array(F.when(F.col(text).isNotNull(), let(lines, rest)))))  # generated, so that filters above do not copy it
     others = [F.col("_lines.text").alias(text) if c == text else F.col(f"`{c}`") for c in docs.columns]
     return made.select(*others, F.coalesce("_lines.n", F.lit(0)).alias("_n_lines"), F.coalesce("_lines.kept", F.lit(0)).alias("_n_kept"))
 

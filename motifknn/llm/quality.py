@@ -129,13 +129,14 @@ def references(docs: DataFrame, text: str = "text", lang: str = "lang") -> dict[
 def judge(docs: DataFrame, text: str = "text", lang: str = "lang", most_chars: float = MOST_CHARS, most_words: float = MOST_WORDS) -> DataFrame:
     """``docs`` with base statistics, base_failed, kept, the nearest language and the distances to it."""
     known = references(docs, text, lang)
-    stats = docs.withColumn("_h", features(F.col(text)))
+    # generated, not projected: a filter on what follows would else be pushed below with a copy of the expressions for each use
+    stats = docs.withColumn("_h", F.explode(F.array(features(F.col(text)))))
     options = [F.struct((c + w).alias("sum"), F.lit(name).alias("near_lang"), c.alias("char_distance"), w.alias("word_distance")) for name, (a, b) in sorted(known.items()) for c, w in [(distance(F.col("_h.seen.chars"), a), distance(F.col("_h.common"), b))]]
     nearest = F.array_min(F.array(*[F.when(o["sum"].isNotNull(), o) for o in options])) if options else F.lit(None).cast("struct<sum:double,near_lang:string,char_distance:double,word_distance:double>")
     visible = F.aggregate(F.col("_h.seen.chars"), F.lit(0), lambda a, x: a + x)
     failed = (F.col("_h.n_words") < 50) | (F.col("_h.n_repeat_words") * 100 > F.col("_h.n_words") * 50)
     far = ((visible >= LEAST_CHARS) & (F.col("_n.char_distance") > most_chars)) | ((F.col("_h.n_words") >= LEAST_WORDS) & (F.col("_n.word_distance") > most_words + F.lit(NOISE) / F.sqrt("_h.n_words")))
-    return stats.withColumn("_n", nearest).select(*[F.col(f"`{c}`") for c in docs.columns], "_h.n_words", "_h.seen.word_chars", "_h.seen.n_symbols", "_h.n_dup_lines", "_h.n_repeat_words", failed.alias("base_failed"), (~failed & ~F.coalesce(far, F.lit(False))).alias("kept"), "_n.near_lang", "_n.char_distance", "_n.word_distance")
+    return stats.withColumn("_n", F.explode(F.array(nearest))).select(*[F.col(f"`{c}`") for c in docs.columns], "_h.n_words", "_h.seen.word_chars", "_h.seen.n_symbols", "_h.n_dup_lines", "_h.n_repeat_words", failed.alias("base_failed"), (~failed & ~F.coalesce(far, F.lit(False))).alias("kept"), "_n.near_lang", "_n.char_distance", "_n.word_distance")
 
 
 def op2_distribution_quality(spark, sf_dir: str) -> DataFrame:
