@@ -1,8 +1,8 @@
 """A data source over pattern-sharded files: a shard that cannot hold the pattern is not read.
 
 Beside its rows every shard has the set of two-symbol runs that occur in it; a query pattern whose runs are not
-all there rules the shard out, in the planner, before any task starts. Files are read through pyarrow's or
-Spark's own readers in the tasks, from whatever path the session's Hadoop settings know.
+all there rules the shard out, in the planner, before any task starts. Files are opened in the tasks, so the path
+must be one that the driver and all executors mount alike; object stores are not reached this way.
 """
 
 from __future__ import annotations
