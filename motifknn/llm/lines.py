@@ -1,9 +1,10 @@
 """Fuzzy line dedup by MinHash, DataFrame expressions only.
 
-A line's shingles are the runs of ``WIDTH`` characters that start where its words start, taken from the line
-with its letters lower-cased and its blanks evened. Shingles are hashed again under fixed random
-words, the least and the greatest result are a minimum each; ``BANDS`` bands of
-``ROWS`` such minima are looked up by equality, which two lines of similarity 0.8 pass with 0.99996. Candidates
+A line's shingles are its runs of ``WIDTH`` characters, one from every place, taken from the line with its
+letters lower-cased and its blanks evened; a shorter line is its own shingle. Their hashes lie on a circle, and
+the next hash after each of ``ROWS * BANDS`` even marks is a minimum; ``BANDS`` bands of ``ROWS`` such minima are
+looked up by equality, which two long lines of similarity 0.8 pass with 0.99997 (a little less where a line has
+fewer shingles than there are marks, for minima are then shared). Candidates
 are confirmed by the exact Jaccard similarity of their shingle sets, links are contracted to components by
 joins and aggregations, and of each component the line that comes first (by document id, then by place) stays.
 Equal lines are one class from the start and need no test.
@@ -19,8 +20,6 @@ order. Extra columns are carried along. Classes are named by 64-bit hashes of th
 
 from __future__ import annotations
 
-import random
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -28,11 +27,10 @@ from motifknn.llm.candidates import link_components
 from motifknn.llm.quality import let
 from motifknn.llm.scratch import few, materialise
 
-WIDTH, ROWS, BANDS, LEAST_CHARS = 10, 2, 10, 40
+WIDTH, ROWS, BANDS, LEAST_CHARS = 5, 4, 20, 40
 PERCENT = 80
-_draw = random.Random(20)
-MASKS = [_draw.getrandbits(64) - (1 << 63) for _ in range(ROWS * BANDS // 2)]
-#: Two lines of similarity 0.8 agree in 12.8 of the first 16 minima on average, in fewer than this with a probability of 4e-5.
+MARKS = [-(1 << 63) + i * ((1 << 64) // (ROWS * BANDS)) + 1 for i in range(ROWS * BANDS)]
+#: Two lines of similarity 0.8 agree in 12.8 of 16 minima on average, in fewer than this with a probability of 4e-5.
 LEAST_EQUAL = 6
 
 
@@ -41,27 +39,33 @@ def evened(line: Column) -> Column:
 
 
 def shingles(line: Column) -> Column:
-    """Hashes of the runs of WIDTH characters that start with a word (repeats kept)."""
-    return F.transform(F.regexp_extract_all(evened(line), F.lit(rf"(?:^|(?<= ))(?=(.{{1,{WIDTH}}}))"), F.lit(1)), lambda s: F.xxhash64(s))
+    """Hashes of the runs of WIDTH characters, from every place of the line (repeats kept)."""
+    return F.transform(F.regexp_extract_all(evened(line), F.lit(rf"(?s)(?=(.{{{WIDTH}}}|^.{{1,{WIDTH - 1}}}\z))."), F.lit(1)), lambda s: F.xxhash64(s))
 
 
 def signature(hashes: Column) -> Column:
-    """Struct of bands and of the minima's low bytes in two words. The least and the greatest under one hash pick two shingles."""
+    """Struct of n (different hashes), bands, and the low bytes of 16 minima in two words; null without hashes."""
 
-    def ends_under(mask: int) -> Column:
-        return let(F.transform(hashes, lambda h: F.xxhash64(h.bitwiseXOR(F.lit(mask)))), lambda x: F.array(F.array_min(x), F.array_max(x)))
+    def minima(s: Column) -> Column:
+        # a mark's place among hashes and marks, less the marks before it, is the place of the next hash
+        places = F.transform(F.sort_array(F.concat(s, F.lit(MARKS))), lambda x, i: F.when(x.isin(MARKS), i))
+        return F.transform(F.filter(places, lambda p: p.isNotNull()), lambda p, j: F.get(s, F.pmod(p - j, F.size(s))))
 
     def packed(least: Column, first: int) -> Column:
-        out = F.get(least, F.lit(first)).bitwiseAND(F.lit(255))
+        step = ROWS * BANDS // 16
+        out = F.get(least, F.lit(first * step)).bitwiseAND(F.lit(255))
         for k in range(1, 8):
-            out = out.bitwiseOR(F.shiftleft(F.get(least, F.lit(first + k)).bitwiseAND(F.lit(255)), 8 * k))
+            out = out.bitwiseOR(F.shiftleft(F.get(least, F.lit((first + k) * step)).bitwiseAND(F.lit(255)), 8 * k))
         return out
 
-    def of(least: Column) -> Column:
-        keys = [F.xxhash64(F.lit(b), *(F.get(least, F.lit(b * ROWS + r)) for r in range(ROWS))) for b in range(BANDS)]
-        return F.struct(F.array(*keys).alias("bands"), packed(least, 0).alias("low_a"), packed(least, 8).alias("low_b"))
+    def of(s: Column) -> Column:
+        def rest(least: Column) -> Column:
+            keys = [F.xxhash64(F.lit(b), *(F.get(least, F.lit(b + r * BANDS)) for r in range(ROWS))) for b in range(BANDS)]
+            return F.struct(F.size(s).alias("n"), F.array(*keys).alias("bands"), packed(least, 0).alias("low_a"), packed(least, 8).alias("low_b"))
+
+        return F.when(F.size(s) > 0, let(minima(s), rest))
 
-    return let(F.flatten(F.array(*[ends_under(m) for m in MASKS])), of)
+    return let(F.sort_array(F.array_distinct(hashes)), of)
 
 
 def agree(x: Column, y: Column) -> Column:
@@ -83,7 +87,7 @@ def numbered_lines(docs: DataFrame, id_col: str, text: str) -> DataFrame:
 def repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = PERCENT) -> DataFrame:
     """(doc, line_no) of the lines that go."""
     lines = numbered_lines(docs, id_col, text)
-    signed = materialise(lines.select("h", "doc", "line_no", let(shingles(F.col("line")), lambda s: F.struct(signature(s).alias("g"), F.size(F.array_distinct(s)).alias("n"))).alias("s")).select("h", "doc", "line_no", "s.n", "s.g.bands", "s.g.low_a", "s.g.low_b"))
+    signed = materialise(lines.select("h", "doc", "line_no", signature(shingles(F.col("line"))).alias("s")).select("h", "doc", "line_no", "s.n", "s.bands", "s.low_a", "s.low_b"))
     dealt = signed.select("h", "n", "low_a", "low_b", F.explode("bands").alias("bucket"))
     several = materialise(dealt.groupBy("bucket").agg(F.min("h").alias("lo"), F.max("h").alias("hi")).where("lo < hi").select("bucket"))
     members = materialise(dealt.join(few(several), "bucket").groupBy("bucket", F.col("h").alias("rep")).agg(F.max("n").alias("n"), F.max("low_a").alias("low_a"), F.max("low_b").alias("low_b")))
