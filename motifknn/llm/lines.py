@@ -9,8 +9,8 @@ are confirmed by the exact Jaccard similarity of their shingle sets, links are c
 joins and aggregations, and of each component the line that comes first (by document id, then by place) stays.
 Equal lines are one class from the start and need no test.
 
-Lines of fewer than ``LEAST_CHARS`` characters are left alone: headings, list marks and the like repeat
-without being copies. Memory is bounded by a line and a document; a line of a third of all rows is summed
+Equal lines of any length with a letter or digit are repeats; lines of fewer than ``LEAST_CHARS`` characters are
+compared by equality alone, and marks without a word ("---", blanks) are left alone below that length. Memory is bounded by a line and a document; a line of a third of all rows is summed
 before it is moved, and joins on it can be split.
 
 Defined results: null text stays null with 0 lines; rows with one id are one document seen several times:
@@ -29,6 +29,7 @@ from motifknn.llm.scratch import few, materialise
 
 WIDTH, ROWS, BANDS, LEAST_CHARS = 5, 4, 20, 40
 PERCENT = 80
+WORD = r"[\p{L}\p{N}]"
 MARKS = [-(1 << 63) + i * ((1 << 64) // (ROWS * BANDS)) + 1 for i in range(ROWS * BANDS)]
 #: Two lines of similarity 0.8 agree in 12.8 of 16 minima on average, in fewer than this with a probability of 4e-5.
 LEAST_EQUAL = 6
@@ -79,22 +80,24 @@ def agree(x: Column, y: Column) -> Column:
 
 
 def numbered_lines(docs: DataFrame, id_col: str, text: str) -> DataFrame:
-    """(doc, line_no, line, h) of the lines that are long enough."""
+    """(doc, line_no, line, h, long) of the lines with a word or of LEAST_CHARS characters; ``long`` has those."""
     lines = docs.select(F.col(id_col).alias("doc"), F.posexplode(F.split(text, "\n")).alias("line_no", "line"))
-    return lines.where(F.char_length(F.trim("line")) >= LEAST_CHARS).withColumn("h", F.xxhash64(evened(F.col("line"))))
+    lines = lines.withColumn("long", F.char_length(F.trim("line")) >= LEAST_CHARS).where(F.col("long") | F.col("line").rlike(WORD))
+    return lines.withColumn("h", F.xxhash64(evened(F.col("line"))))
 
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = PERCENT) -> DataFrame:
     """(doc, line_no) of the lines that go."""
     lines = numbered_lines(docs, id_col, text)
-    signed = materialise(lines.select("h", "doc", "line_no", signature(shingles(F.col("line"))).alias("s")).select("h", "doc", "line_no", "s.n", "s.bands", "s.low_a", "s.low_b"))
+    signed = materialise(lines.select("h", "doc", "line_no", F.when(F.col("long"), signature(shingles(F.col("line")))).alias("s")).select("h", "doc", "line_no", "s.n", "s.bands", "s.low_a", "s.low_b"))
     dealt = signed.select("h", "n", "low_a", "low_b", F.explode("bands").alias("bucket"))
     several = materialise(dealt.groupBy("bucket").agg(F.min("h").alias("lo"), F.max("h").alias("hi")).where("lo < hi").select("bucket"))
     members = materialise(dealt.join(few(several), "bucket").groupBy("bucket", F.col("h").alias("rep")).agg(F.max("n").alias("n"), F.max("low_a").alias("low_a"), F.max("low_b").alias("low_b")))
     needed = materialise(members.select(F.col("rep").alias("h")).distinct())
-    sets = materialise(lines.join(few(needed), "h").groupBy(F.col("h").alias("rep")).agg(F.min("line").alias("line")).select("rep", F.array_distinct(shingles(F.col("line"))).alias("set")))
+    # the lines themselves, for their shingles are many times as large
+    texts = materialise(lines.join(few(needed), "h").groupBy(F.col("h").alias("rep")).agg(F.min("line").alias("set")))
 
-    comps = link_components(members, ["low_a", "low_b"], agree, lambda ids: sets, percent, keep_sets=True)
+    comps = link_components(members, ["low_a", "low_b"], agree, lambda ids: texts.join(ids, "rep", "left_semi"), percent, keep_sets=True, elements=lambda line: F.array_distinct(shingles(line)))
     place = F.struct(F.col("doc").isNull().alias("none"), "doc", "line_no")
     classes = signed.groupBy("h").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("times"))
     if comps is None:

@@ -70,3 +70,17 @@ def test_all_shingles_of_a_table(spark, data):
     rows = [(r.doc_id, "\n".join(x for x in r.text.split("\n") if len(x.strip(" ")) >= lines.LEAST_CHARS)) for r in docs.collect()]
     got = {r.doc_id: r.text for r in lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == brute_whole_lines(rows)
+
+
+def test_short_lines(spark):
+    texts = ["Heading\nline one\n---\n\n12", "heading \nline two\n---\n\n12\n12", "Heading", None, "", "Intro\n  HEADING\n}\n}\n\u5b57\n\u5b57"]
+    rows = list(enumerate(texts))
+    got = {r.doc_id: r.text for r in lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {0: texts[0], 1: "line two\n---\n", 2: "", 3: None, 4: "", 5: "Intro\n}\n}\n\u5b57"}
+
+
+def test_short_and_long_lines_of_a_table(spark, data):
+    docs = spark.read.parquet(f"{data}/documents.parquet").select("doc_id", "text")
+    got = {r.doc_id: r.text for r in lines.dedup_lines(docs).collect()}
+    word = lambda x: len(x.strip(" ")) >= lines.LEAST_CHARS or any(c.isalnum() for c in x)
+    assert got == brute_whole_lines([(r.doc_id, r.text) for r in docs.collect()], word)
