@@ -21,22 +21,26 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Frequent function words by language, as whole lower-case words; fixed values.
+#: Frequent function words by language; fixed values.
 COMMON = {
-    "en": "the of and to in is that it was for".split(),
-    "de": "der die und das den von zu mit sich im".split(),
-    "fr": "de la le et les des en un du que".split(),
-    "es": "de la que el en y los se del con".split(),
+    "en": "the of and to in is that it was for on are with as by be".split(),
+    "de": "der die und das den von zu mit sich des auf ist im dem nicht ein".split(),
+    "fr": "de la le et les des en un du une que est pour qui dans par".split(),
+    "es": "de la que el en y los se del las un por con no una su".split(),
 }
 WORDS = sorted({w for ws in COMMON.values() for w in ws})
-#: Characters by class: what is not in the class. Symbols are a class as well, and what is left is one.
-CLASSES = ("[^a-z]+", "[^A-Z]+", r"[^.,;:?'\"()\-]+")
+#: Characters by class are lower-case and capital ASCII letters, digits, punctuation, symbols and all others; the
+#: last classes are looked for in what is neither a letter nor blank. Expressions of what is not in a class.
+LOWER, NOT_LETTERS = "[^a-z]+", r"[a-zA-Z\x20\x09-\x0D]+"
+RARER = ("[^0-9]+", r"[^.,;:?'\"()\-]+", r"[^#*$%&|<>!=+@^~`\\/_{}\[\]]+")
 SYMBOLS = r"[^#*$%&|<>]+"
-CELLS = len(CLASSES) + 2
+CELLS = len(RARER) + 3
 LEAST_CHARS, LEAST_WORDS = 200, 80
 #: Distances above these are too far; the sampling noise of n words, NOISE / sqrt(n), is allowed for.
-MOST_CHARS, MOST_WORDS, NOISE = 0.30, 0.13, 2.0
+MOST_CHARS, MOST_WORDS, NOISE = 0.30, 0.17, 2.0
 BLANKS = r"[\x20\x09-\x0D]+"
+#: Blanks with the punctuation that ends a word before them.
+WORD_ENDS = r"[.,;:!?]*[\x20\x09-\x0D]+|[.,;:!?]+\z"
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
@@ -74,12 +78,17 @@ def features(text: Column, base: bool = True) -> Column:
     whole = F.coalesce(text, F.lit(""))
     lines = F.filter(F.split(whole, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
 
-    def count(but: str) -> Column:
-        return F.char_length(F.regexp_replace(whole, but, ""))
+    def cut(s: Column, but: str) -> Column:
+        return F.regexp_replace(s, but, "")
 
-    def classes(c: Column) -> Column:
-        # c: the classes, symbols, all visible characters
-        return F.concat(F.slice(c, 1, CELLS - 1), F.array(F.element_at(c, -1) * 2 - F.aggregate(c, F.lit(0), lambda a, x: a + x)))
+    def classes(visible: Column) -> Column:
+        lower = F.char_length(cut(whole, LOWER))
+
+        def of_rest(rest: Column) -> Column:
+            found = [F.char_length(cut(rest, c)) for c in RARER]
+            return let(F.array(lower, visible - F.char_length(rest) - lower, *found), lambda c: F.struct(visible.cast("long").alias("word_chars"), F.char_length(cut(rest, SYMBOLS)).cast("long").alias("n_symbols"), F.concat(c, F.array(visible - F.aggregate(c, F.lit(0), lambda a, x: a + x))).alias("chars")))
+
+        return let(cut(whole, NOT_LETTERS), of_rest)
 
     def common(k: Column, w: Column) -> Column:
         return F.concat(F.transform(F.lit(WORDS), lambda x: F.size(k) - F.size(F.array_remove(k, x))), F.array(F.size(w) - F.size(k)))
@@ -90,9 +99,9 @@ def features(text: Column, base: bool = True) -> Column:
             let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
             repeated_words(w).alias("n_repeat_words"),
         ]
-        cells = F.array(*[count(c) for c in (*CLASSES, SYMBOLS)], F.char_length(F.array_join(w, "")))
-        seen = let(cells, lambda c: F.struct(F.element_at(c, -1).cast("long").alias("word_chars"), F.element_at(c, -2).cast("long").alias("n_symbols"), classes(c).alias("chars")))
-        return F.struct(*(stats if base else []), seen.alias("seen"), let(F.filter(w, lambda x: x.isin(WORDS)), lambda k: common(k, w)).alias("common"))
+        seen = let(F.char_length(F.array_join(w, "")), classes)
+        bare = F.split(F.lower(whole), WORD_ENDS)
+        return F.struct(*(stats if base else []), seen.alias("seen"), let(F.filter(bare, lambda x: x.isin(WORDS)), lambda k: common(k, w)).alias("common"))
 
     return let(words_of(text), of)
 
