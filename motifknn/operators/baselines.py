@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from motifknn.functions.patterns import contains, like_escaped, occurrences
+from motifknn.functions.patterns import contains, occurrences
 from motifknn.functions.vectors import distance
 from motifknn.operators.exact import exact_topk, keep_nearest, measured
 from motifknn.operators.graph import build_graphs, search_graphs
@@ -59,7 +59,7 @@ def search_first(graph: tuple[DataFrame, DataFrame], corpus: DataFrame, queries:
 
 def search_first_exact(corpus: DataFrame, queries: DataFrame, ef: int, k: int = 10) -> DataFrame:
     """Search-first over an exact global search: what it loses is lost by the late filter alone."""
-    near = corpus.crossJoin(F.broadcast(queries.select("qid", "qvec", "pattern").limit(10_000))).select("qid", "id", F.round(distance(F.col("vec"), F.col("qvec")), 4).alias("dist"), contains(F.col("seq"), F.col("pattern")).alias("ok"))
+    near = corpus.crossJoin(queries.select("qid", "qvec", "pattern")).select("qid", "id", F.round(distance(F.col("vec"), F.col("qvec")), 4).alias("dist"), contains(F.col("seq"), F.col("pattern")).alias("ok"))
     top = near.withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("dist", "id"))).where((F.col("r") <= ef) & F.col("ok"))
     return keep_nearest(top.select("qid", "id", "dist"), k)
 
@@ -85,12 +85,10 @@ def search_first_expanding(corpus: DataFrame, queries: DataFrame, ef: int, k: in
 def sql_hybrid(corpus: DataFrame, queries: DataFrame, ef: int = 160, threshold: float = 0.5, k: int = 10) -> DataFrame:
     """Relational text query with LIKE; the share of matching items decides between filter-first and search-first.
 
-    One statement with one LIKE per query, as a user of a relational engine writes it; the batch is small.
+    One statement with one LIKE template per query, as a user of a relational engine writes it.
     """
     n = corpus.count()
-    batch = queries.select("qid", "pattern").limit(10_000).collect()
-    case = " ".join(f"WHEN {int(r['qid'])} THEN '" + like_escaped(r["pattern"]).replace("\\", "\\\\").replace("'", "\\'") + "'" for r in batch)
-    asked = queries.select("qid", "qvec", F.expr(f"CASE qid {case} END" if batch else "CAST(NULL AS STRING)").alias("template"))
+    asked = queries.select("qid", "qvec", F.concat(F.lit("%"), F.regexp_replace("pattern", "([!%_])", "!$1"), F.lit("%")).alias("template"))
     match = F.expr("seq LIKE template ESCAPE '!'")
     share = corpus.select("seq").join(asked.select("qid", "template"), match).groupBy("qid").agg((F.count(F.lit(1)) / F.lit(max(n, 1))).alias("share"))
     filter_branch = asked.join(share.where(F.col("share") < threshold).select("qid"), "qid", "left_semi")

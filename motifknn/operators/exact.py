@@ -40,5 +40,5 @@ def exact_topk(corpus: DataFrame, queries: DataFrame, k: int = 10, metric: str =
 
 def filtered_topk(corpus: DataFrame, queries: DataFrame, predicate: Column, k: int = 10) -> DataFrame:
     """Top-k under an attribute predicate (set membership, range) that is pushed to the scan."""
-    near = corpus.where(predicate).crossJoin(F.broadcast(queries.select("qid", "qvec").limit(10_000))).select("qid", "id", distance(F.col("vec"), F.col("qvec")).alias("dist"))
+    near = corpus.where(predicate).crossJoin(queries.select("qid", "qvec")).select("qid", "id", distance(F.col("vec"), F.col("qvec")).alias("dist"))
     return keep_nearest(near, k)
