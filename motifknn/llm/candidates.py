@@ -25,15 +25,14 @@ from motifknn.llm.quality import let
 from motifknn.llm.scratch import materialise, release
 
 
-def confirm(pairs: DataFrame, sets: DataFrame, percent: int, elements: Callable[[Column], Column] | None = None) -> DataFrame:
-    """The pairs (a, b) whose sets (rep, set) have 100 * intersection >= percent * union, as a written table."""
-    both = pairs.join(sets.select(F.col("rep").alias("a"), F.col("set").alias("x")), "a").join(sets.select(F.col("rep").alias("b"), F.col("set").alias("y")), "b")
+def similar_sets(both: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of (a, b, x, y) where the arrays x and y, without repeats, have 100 * intersection >= percent * union."""
+    x, y = F.col("x"), F.col("y")
+    return both.where(let(F.size(F.array_intersect(x, y)), lambda common: common * 100 >= (F.size(x) + F.size(y) - common) * percent)).select("a", "b")
 
-    def similar(x: Column, y: Column) -> Column:
-        return let(F.size(F.array_intersect(x, y)), lambda common: common * 100 >= (F.size(x) + F.size(y) - common) * percent)
 
-    test = similar(F.col("x"), F.col("y")) if elements is None else let(elements(F.col("x")), lambda x: let(elements(F.col("y")), lambda y: similar(x, y)))
-    return materialise(both.where(test).select("a", "b").distinct())
+def elements_of(own: DataFrame) -> DataFrame:
+    return own.select("rep", F.explode("set").alias("e"))
 
 
 def _pairs(near: DataFrame, test: Column) -> DataFrame:
@@ -44,13 +43,18 @@ def _sizes(x: Column, y: Column, percent: int) -> Column:
     return F.least(x["n"], y["n"]) * 100 >= F.greatest(x["n"], y["n"]) * percent
 
 
-def link_components(members: DataFrame, extras: list[str], may_link: Callable[[Column, Column], Column], sets: Callable[[DataFrame], DataFrame], percent: int, keep_sets: bool = False, elements: Callable[[Column], Column] | None = None) -> DataFrame | None:
+def link_components(members: DataFrame, extras: list[str], may_link: Callable[[Column, Column], Column], sets: Callable[[DataFrame], DataFrame], percent: int, confirm: Callable[[DataFrame, int], DataFrame] = similar_sets, spread: Callable[[DataFrame], DataFrame] = elements_of) -> DataFrame | None:
     """(node, component) from ``members`` (bucket, rep, n = size of its set, *extras), or None if nothing is linked.
 
     ``may_link(x, y)`` is a cheap test on two structs of rep, n and extras; ``sets(ids)`` gives (rep, set) of
-    the ids (rep) asked for, or of more, as a written table, which goes after use unless ``keep_sets``. With
-    ``elements`` the column set holds what that makes a set of without repeats, when it is needed.
+    the ids (rep) asked for; what a set is, is for ``confirm`` (exact test of (a, b, x, y)) and ``spread``
+    ((rep, e), an element a row) to know.
     """
+
+    def test(pairs: DataFrame, own: DataFrame) -> DataFrame:
+        both = pairs.join(own.select(F.col("rep").alias("a"), F.col("set").alias("x")), "a").join(own.select(F.col("rep").alias("b"), F.col("set").alias("y")), "b")
+        return materialise(confirm(both.select("a", "b", "x", "y"), percent).distinct())
+
     x, y = F.col("x"), F.col("y")
     members = members.join(members.groupBy("bucket").agg(F.count(F.lit(1)).alias("_size")), "bucket")
     members = materialise(members.drop("_size").join(members.groupBy("rep").agg(F.sum("_size").alias("meets")), "rep"))
@@ -58,8 +62,8 @@ def link_components(members: DataFrame, extras: list[str], may_link: Callable[[C
     pivot = dealt.groupBy("bucket").agg(F.min(F.struct((-F.col("x.meets")).alias("m"), F.col("x.rep").alias("r"), "x")).alias("y")).select("bucket", F.col("y.x").alias("y"))
     pairs = materialise(_pairs(dealt.join(pivot, "bucket"), _sizes(x, y, percent) & may_link(x, y)))
     own = sets(pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct())
-    links = confirm(pairs, own, percent, elements)
-    release(None if keep_sets else own)
+    links = test(pairs, own)
+    release(own)
     comps = None if links.isEmpty() else connected_components(links)
 
     now = members if comps is None else members.join(comps, members["rep"] == comps["node"], "left")
@@ -68,7 +72,7 @@ def link_components(members: DataFrame, extras: list[str], may_link: Callable[[C
     apart = now.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("size")).where("lo < hi and size > 2").select("bucket")
     active = materialise(now.join(apart, "bucket"))
     own = sets(active.select("rep").distinct())
-    private = own.select("rep", F.explode("set" if elements is None else elements(F.col("set"))).alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count(F.lit(1)).alias("alone"))
+    private = spread(own).groupBy("e").agg(F.count(F.lit(1)).alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count(F.lit(1)).alias("alone"))
     active = active.join(private, "rep", "left").withColumn("shared", F.col("n") - F.coalesce("alone", F.lit(0))).drop("alone")
     least = active.groupBy("bucket").agg(F.min("n").alias("least_n"))
     able = materialise(active.join(least, "bucket").where(F.col("shared") * 100 >= (F.col("n") + F.greatest("least_n", "shared") - F.col("shared")) * percent))
@@ -80,8 +84,8 @@ def link_components(members: DataFrame, extras: list[str], may_link: Callable[[C
     more = _pairs(left.join(strays, "bucket"), (most * 100 >= (x["n"] + y["n"] - most) * percent) & _sizes(x, y, percent) & may_link(x, y) & (F.array_min(F.array_intersect(x["buckets"], y["buckets"])) == F.col("bucket")))
     more = materialise(more.join(pairs, ["a", "b"], "left_anti"))
     if not more.isEmpty():
-        found = confirm(more, own, percent, elements)
+        found = test(more, own)
         if not found.isEmpty():
             comps = connected_components(links.union(found))
-    release(None if keep_sets else own, able)
+    release(own, able, active, pairs, members)
     return comps

@@ -12,6 +12,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 _left: list[tuple[SparkSession, str]] = []
 
@@ -21,6 +22,8 @@ def folder(spark: SparkSession) -> str:
     sc = spark.sparkContext
     found = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not found:
+        if sc.master != "local" and not sc.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir is not set: executors need a folder that all share")
         found = tempfile.mkdtemp(prefix="scratch-")
         sc.setCheckpointDir(found)
         found = sc.getCheckpointDir()
@@ -40,13 +43,23 @@ def materialise(df: DataFrame) -> DataFrame:
     return out
 
 
-#: A written table of keys is sent to every executor up to so many rows (of a few dozen bytes each); beyond, both sides of a join are exchanged.
-FEW = 400_000
+#: A written table of keys is sent to every executor up to so many bytes as rows of a hash table; beyond, both sides of a join are exchanged.
+FEW_BYTES = 64 << 20
+#: What a row costs there besides its values.
+ROW_BYTES = 40
 
 
 def few(small: DataFrame) -> DataFrame:
-    """``small``, a written table, to be broadcast if its rows, counted, are at most FEW."""
-    return F.broadcast(small) if small.count() <= FEW else small
+    """``small``, a written table, to be broadcast if its rows, counted, take at most FEW_BYTES."""
+    width = ROW_BYTES + sum(_width(f.dataType) for f in small.schema.fields)
+    return F.broadcast(small) if small.count() * width <= FEW_BYTES else small
+
+
+def _width(kind: T.DataType) -> int:
+    """Bytes of a value, 64 where that is not fixed."""
+    if isinstance(kind, T.StructType):
+        return 16 + sum(_width(f.dataType) for f in kind.fields)
+    return 64 if isinstance(kind, (T.ArrayType, T.MapType, T.StringType, T.BinaryType)) else 8
 
 
 def release(*tables: DataFrame | None) -> None:

