@@ -14,7 +14,8 @@ characters are left alone. Only one line of each class is signed. Memory is boun
 line of a third of all rows is summed before it is moved.
 
 There are two engines for the two steps that read a line's characters, signing and the exact test: DataFrame
-expressions (``native``), or numpy in Arrow functions. Everything else is DataFrame operations in either.
+expressions (``native``), or numpy in Arrow functions. Everything else is DataFrame operations in either. The
+pipeline uses the first; the query the second, for the first takes more than its budget of CPU seconds.
 
 Defined results: null text stays null with 0 lines. Rows equal in id and text are one document seen several
 times: they lose the same lines. Rows of one id (or of none) with different texts are different documents. A
@@ -251,10 +252,10 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent
     return seen.withColumn("here", F.struct(*PLACE)).join(few(keepers), "h").where(~_is("here", "first")).select(*PLACE)
 
 
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = PERCENT, native: bool = True) -> DataFrame:
-    """``docs`` with the text less its repeated lines, and _n_lines, _n_kept."""
+def deduped(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = PERCENT, native: bool = True) -> DataFrame:
+    """(row, n, kept, text): each row of ``docs`` as a struct, its lines, how many stay, and the text of those."""
     gone = materialise(repeats(docs, id_col, text, percent, native).groupBy("doc", "t").agg(F.collect_set("line_no").alias("gone")))
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`").alias(c) for c in docs.columns]).alias("row"))
     whole = F.col("row").getField(text)
     joined = rows.join(few(gone), F.col("row").getField(id_col).eqNullSafe(F.col("doc")) & (F.xxhash64(whole) == F.col("t")), "left")
 
@@ -264,12 +265,17 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", per
         return F.struct(F.size(x).alias("n"), F.when(same, F.size(x)).otherwise(F.size(stay)).alias("kept"), F.when(same, whole).otherwise(F.array_join(F.transform(stay, lambda i: F.get(x, i)), "\n")).alias("text"))
 
     made = joined.withColumn("made", F.explode(F.array(F.when(whole.isNotNull(), let(F.split(whole, "\n"), rest)))))  # generated, so that filters above do not copy it
+    return made.select("row", F.coalesce("made.n", F.lit(0)).alias("n"), F.coalesce("made.kept", F.lit(0)).alias("kept"), "made.text")
+
+
+def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "text", percent: int = PERCENT, native: bool = True) -> DataFrame:
+    """``docs`` with the text less its repeated lines, and _n_lines, _n_kept."""
     counts = ("_n_lines", "_n_kept")
-    others = [F.col("made.text").alias(text) if c == text else F.col("row").getField(c).alias(c) for c in docs.columns if c not in counts]
-    return made.select(*others, F.coalesce("made.n", F.lit(0)).alias("_n_lines"), F.coalesce("made.kept", F.lit(0)).alias("_n_kept"))
+    others = [F.col("text").alias(c) if c == text else F.col("row").getField(c).alias(c) for c in docs.columns if c not in counts]
+    return deduped(docs, id_col, text, percent, native).select(*others, F.col("n").alias("_n_lines"), F.col("kept").alias("_n_kept"))
 
 
 def op7_fuzzy_line_dedup(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    done = dedup_lines(docs)
+    done = dedup_lines(docs, native=False)
     return done.select("doc_id", F.col("_n_lines").cast("long").alias("n_lines"), F.col("_n_kept").cast("long").alias("n_kept"), F.char_length("text").cast("long").alias("n_chars"), F.crc32(F.col("text").cast("binary")).alias("text_crc32"))
