@@ -9,8 +9,10 @@ The fit reads a bounded sample: at most about ``max_per_label`` documents of eac
 the document id, so reruns agree. Everything is scored. Labels, sources and ids never enter a prediction.
 
 Defined results: ``und`` with score 0 for a null text or one without a letter; with no labelled rows at all,
-every text is ``und``. A null label is never learned. A row with a null id is held out. Repeated rows are
-scored each. An empty table gives an empty table.
+every text is ``und``. A null label is never learned; of more than ``MAX_LABELS`` labels, those with the most rows
+are learned. A row with a null id is held out. Repeated rows are scored each. An empty table gives an empty
+table. Very long texts are scored in parts whose n-grams add up to those of the whole. Extra columns are carried
+along but for lang_pred and score, which are replaced.
 """
 
 from __future__ import annotations
@@ -29,7 +31,7 @@ from pyspark.sql import types as T
 BUCKETS = 1 << 16
 ORDERS = (1, 2, 3)
 MAX_PER_LABEL = 4000
-MAX_LABELS = 512
+MAX_LABELS = 128
 BLOCK_CHARS = 1 << 20
 _MIX = (np.uint32(0x9E3779B1), np.uint32(0x85EBCA77), np.uint32(0xC2B2AE3D), np.uint32(0x27D4EB2F))
 
@@ -71,30 +73,48 @@ def ngrams(points: np.ndarray, owner: np.ndarray, buckets: int = BUCKETS) -> Ite
         yield (h[inside] % np.uint32(buckets)).astype(np.int32), owner[: len(h)][inside]
 
 
-def blocks(values: list[str | None]) -> Iterator[tuple[np.ndarray, list[str]]]:
-    """Rows and texts in runs of about BLOCK_CHARS; a longer text comes in several parts (an n-gram at a cut is lost)."""
+def parts(text: str, size: int) -> Iterator[tuple[str, int]]:
+    """(piece, sign): the n-grams of the pieces, added or taken away, are those of the whole text.
+
+    After a cut comes the next piece with the end of the one before, and, to be taken away, that end alone.
+    """
+    at, before = 0, ""
+    while True:
+        cut = len(text) if len(text) - at <= size else text.rfind(" ", at + size // 2, at + size) + 1 or at + size
+        yield before + text[at:cut], 1
+        if before:
+            yield before, -1
+        if cut == len(text):
+            return
+        back = 64
+        while cut - back > 0 and sum(map(str.isalpha, text[cut - back : cut])) < max(ORDERS):
+            back *= 4
+        at, before = cut, text[max(0, cut - back) : cut]
+
+
+def blocks(values: list[str | None], size: int = BLOCK_CHARS) -> Iterator[tuple[np.ndarray, list[str], np.ndarray]]:
+    """(rows, texts, signs) in runs of about ``size`` characters; a longer text comes in several parts."""
     rows: list[int] = []
     texts: list[str] = []
-    size = 0
+    signs: list[int] = []
+    held = 0
     for i, v in enumerate(values):
-        for s in range(0, len(v or ""), BLOCK_CHARS):
-            part = v[s : s + BLOCK_CHARS]
+        for part, sign in parts(v, size) if v else ():
             rows.append(i)
             texts.append(part)
-            size += len(part)
-            if size >= BLOCK_CHARS:
-                yield np.array(rows), texts
-                rows, texts, size = [], [], 0
+            signs.append(sign)
+            held += len(part)
+            if held >= size:
+                yield np.array(rows), texts, np.array(signs)
+                rows, texts, signs, held = [], [], [], 0
     if rows:
-        yield np.array(rows), texts
+        yield np.array(rows), texts, np.array(signs)
 
 
 def training_rows(docs: DataFrame, text: str, label: str, id_col: str, max_per_label: int) -> DataFrame:
     """(label, text) of the labelled rows, thinned by an id hash to about max_per_label a label."""
     labelled = docs.where(F.col(label).isNotNull() & F.col(text).isNotNull()).select(F.col(label).alias("label"), F.col(text).alias("text"), F.col(id_col).alias("id"))
-    sizes = labelled.groupBy("label").agg(F.count(F.lit(1)).alias("n")).limit(MAX_LABELS + 1).collect()
-    if len(sizes) > MAX_LABELS:
-        raise ValueError(f"more than {MAX_LABELS} labels")
+    sizes = labelled.groupBy("label").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "label").limit(MAX_LABELS).collect()
     share = [f"when label = '{r['label'].replace(chr(92), chr(92) * 2).replace(chr(39), chr(92) + chr(39))}' then {min(1.0, max_per_label / r['n']):.9f}" for r in sizes]
     if not share:
         return labelled.select("label", "text")
@@ -112,12 +132,13 @@ def fit(docs: DataFrame, text: str = "text", label: str = "lang", id_col: str =
             tags = b.column(0).to_pylist()
             for t in tags:
                 seen[t] = seen.get(t, 0) + 1
-            for rows, texts in blocks(b.column(1).to_pylist()):
+            for rows, texts, signs in blocks(b.column(1).to_pylist()):
                 names, at = np.unique([tags[r] for r in rows], return_inverse=True)
                 points, owner, _ = code_points(texts)
                 for bucket, of in ngrams(points, owner, buckets):
                     for k, name in enumerate(names):
-                        mine = np.bincount(bucket[at[of] == k], minlength=buckets)
+                        own = at[of] == k
+                        mine = np.bincount(bucket[own], signs[of][own], buckets).astype(np.int64)
                         sums[str(name)] = sums.get(str(name), 0) + mine
         for name, n in seen.items():
             got = sums.get(name, np.zeros(buckets, np.int64))
@@ -139,12 +160,12 @@ def score(values: list[str | None], names: list[str], matrix: np.ndarray) -> tup
     sums = np.zeros((len(values), len(names)))
     found = np.zeros(len(values), np.int64)
     columns = np.ascontiguousarray(matrix[:-1].T)
-    for rows, texts in blocks(values):
+    for rows, texts, signs in blocks(values):
         points, owner, n_letters = code_points(texts)
-        np.add.at(found, rows, n_letters)
+        np.add.at(found, rows, signs * n_letters)
         for bucket, of in ngrams(points, owner, len(matrix) - 1):
             for k in range(len(names)):
-                np.add.at(sums[:, k], rows, np.bincount(of, columns[k][bucket], len(texts)))
+                np.add.at(sums[:, k], rows, signs * np.bincount(of, columns[k][bucket], len(texts)))
     if not names:
         return ["und"] * len(values), np.zeros(len(values))
     sums += matrix[-1]

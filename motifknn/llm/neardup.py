@@ -13,7 +13,9 @@ the threshold; the rest is confirmed on the full sets. Links are contracted to c
 gathered on the driver.
 
 Defined results: null or blank texts have an empty set, are linked with nothing and kept. A row with a null
-id is not linked, has a null component and is kept. Rows with one id are each judged by their own text.
+id is not linked, has a null component and is kept. Rows with one id are each judged by their own text; rows
+equal in id and text fare alike. An empty table gives an empty table. Extra columns, whatever their names, are
+ignored by ``near_duplicates`` and carried along by ``one_of_each``.
 """
 
 from __future__ import annotations
@@ -113,8 +115,8 @@ def bits_of(elements: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, width: int = 4) -> DataFrame:
-    """(doc_id, n, key_a, key_b, bits, bands) from (doc_id, text); the keys name the set."""
-    schema = "doc_id long, n long, key_a long, key_b long, bits array<long>, bands array<long>"
+    """(doc_id, t, n, key_a, key_b, bits, bands) from (doc_id, text, t); the keys name the set."""
+    schema = "doc_id long, t long, n long, key_a long, key_b long, bits array<long>, bands array<long>"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in by_bytes(batches, "text", BATCH):
@@ -124,7 +126,7 @@ def sketches(docs: DataFrame, width: int = 4) -> DataFrame:
             bits = [bits_of(s) if len(s) else [] for s in sets]
             bands = [[] if d is None else band_keys(d).view(np.int64) for d in drawn]
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array([len(s) for s in sets], pa.int64()), *(pa.array([int(k[j]) for k in keys], pa.int64()) for j in (0, 1)), pa.array(bits, pa.list_(pa.int64())), pa.array(bands, pa.list_(pa.int64()))],
+                [b.column(0), b.column(2), pa.array([len(s) for s in sets], pa.int64()), *(pa.array([int(k[j]) for k in keys], pa.int64()) for j in (0, 1)), pa.array(bits, pa.list_(pa.int64())), pa.array(bands, pa.list_(pa.int64()))],
                 [x.split()[0] for x in schema.split(", ")],
             )
 
@@ -148,9 +150,9 @@ def _may_link(x: Column, y: Column) -> Column:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 4, percent: int = 80) -> DataFrame:
-    """Per row of ``docs``: doc_id, n_shingles, component_id, kept."""
-    docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    base = materialise(sketches(docs, width))
+    """Per row of ``docs``: doc_id, n_shingles, component_id, kept, and t, a hash of its text."""
+    docs = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"))
+    base = materialise(sketches(docs.select("doc_id", "text", F.xxhash64("text").alias("t")), width))
     sets = base.where("n > 0 and doc_id is not null")
     classes = materialise(sets.groupBy("key_a", "key_b").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("bits").alias("bits"), F.first("bands").alias("bands")))
     dealt = classes.select("rep", F.explode("bands").alias("bucket"))
@@ -164,16 +166,18 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     comps = link_components(members, ["bits"], _may_link, sets_of, percent)
     named = classes.select("key_a", "key_b", "rep")
     named = named.select("key_a", "key_b", F.col("rep").alias("component_id")) if comps is None else named.join(comps, named["rep"] == comps["node"], "left").select("key_a", "key_b", F.coalesce("component", "rep").alias("component_id"))
-    of = sets.select("doc_id", "n", "key_a", "key_b").join(named, ["key_a", "key_b"]).select("doc_id", "n", "component_id")
-    alone = base.where("n = 0 or doc_id is null").select("doc_id", "n", F.col("doc_id").alias("component_id"))
-    return of.union(alone).select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    of = sets.select("doc_id", "t", "n", "key_a", "key_b").join(named, ["key_a", "key_b"]).select("doc_id", "t", "n", "component_id")
+    alone = base.where("n = 0 or doc_id is null").select("doc_id", "t", "n", F.col("doc_id").alias("component_id"))
+    return of.union(alone).select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"), "t")
 
 
 def op9_minhash_near_dedup(spark, sf_dir: str) -> DataFrame:
-    return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+    return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")).drop("t")
 
 
 def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``docs``, all columns, of which each component keeps the smallest id."""
-    gone = near_duplicates(docs, width=width, percent=percent).where("not kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti")
+    """The rows of ``docs``, all columns, of which each component keeps the smallest id. A row goes by its own id and text."""
+    gone = materialise(near_duplicates(docs, width=width, percent=percent).where("not kept").select(F.struct("doc_id", "t").alias("_gone_row")).distinct())
+    rows = docs.select(F.struct(*[F.col(f"`{c}`").alias(c) for c in docs.columns]).alias("row"))
+    left = rows.join(few(gone), (F.col("row.doc_id").cast("long") == F.col("_gone_row.doc_id")) & (F.xxhash64("row.text") == F.col("_gone_row.t")), "left_anti")
+    return left.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])

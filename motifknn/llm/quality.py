@@ -1,43 +1,44 @@
 """Quality rules by distribution divergence, DataFrame expressions only.
 
-A document's characters are counted by class and its words by a list of frequent function words. References
-for each language are the corpus's own sums over the documents of that language, from one aggregation over
-all texts (languages outside the word lists share one reference); they are a few rows of fixed width and
-enter the second pass as literals. A document is compared with every reference by the Jensen-Shannon
-distance (square root of the divergence in bits, 0 to 1) of either histogram, and judged by the nearest
-language, so that a wrong label or mixed text does no harm.
-
-Guards: the character test needs ``LEAST_CHARS`` visible characters, the word test ``LEAST_WORDS`` words; a
-document under a guard passes that test. A document is kept if the base rules and both tests pass.
-
-Defined results: null or blank text has no words, fails the base rules and is not kept; its distances are
-null, like those of an empty corpus. Repeated rows are judged each. Extra columns are carried along.
+A document's characters are counted by Unicode category and its words by a list of frequent words. Both the
+lists and the references are learned from the corpus, by label (language): a label's list has the ``TOP`` words
+that the most of its documents have at least twice; a reference is, cell by cell, the median share over the
+label's documents, so that junk, while it is less than half, moves no cell. Labels that are not among the
+``MOST_LABELS`` with the most documents, or have fewer than ``LEAST_DOCS``, share one list and one reference.
+Lists and references are a few hundred numbers a label, and enter the last pass as literals. A document is
+compared with every reference by the Jensen-Shannon distance (square root of the divergence in bits, 0 to 1) of
+either histogram, and judged by the nearest label, so that a wrong label or mixed text does no harm.
+
+Guards: the character test needs ``LEAST_CHARS`` visible characters; the joint test, of both distances together,
+needs ``LEAST_WORDS`` words and allows for the sampling noise of short texts. A document under a guard passes
+that test. A document is kept if the base rules and both tests pass.
+
+Defined results: null or blank text has no words, fails the base rules and is not kept; its distances are null.
+Without a document of ``BASE_WORDS`` words there is no reference and only the base rules judge. Repeated rows are
+judged each. Extra columns are carried along, whatever their names; where one has the name of a verdict column,
+``judge`` gives the verdict, ``passing`` the column.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Frequent function words by language; fixed values.
-COMMON = {
-    "en": "the of and to in is that it was for on are with as by be".split(),
-    "de": "der die und das den von zu mit sich des auf ist im dem nicht ein".split(),
-    "fr": "de la le et les des en un du une que est pour qui dans par".split(),
-    "es": "de la que el en y los se del las un por con no una su".split(),
-}
-WORDS = sorted({w for ws in COMMON.values() for w in ws})
-#: Characters by class are lower-case and capital ASCII letters, digits, punctuation, symbols and all others; the
-#: last classes are looked for in what is neither a letter nor blank. Expressions of what is not in a class.
-LOWER, NOT_LETTERS = "[^a-z]+", r"[a-zA-Z\x20\x09-\x0D]+"
-RARER = ("[^0-9]+", r"[^.,;:?'\"()\-]+", r"[^#*$%&|<>!=+@^~`\\/_{}\[\]]+")
+TOP, MOST_LABELS, LEAST_DOCS = 16, 16, 10
+#: Characters by class are lower-case letters, capitals, other letters, marks, digits, punctuation, symbols and all others.
+LOWER = r"[\p{Ll}\x20\x09-\x0D]+"
+RARER = (r"\p{Lu}+", r"[\p{Lo}\p{Lt}\p{Lm}]+", r"\p{M}+", r"\p{N}+", r"\p{P}+", r"\p{S}+")
 SYMBOLS = r"[^#*$%&|<>]+"
-CELLS = len(RARER) + 3
-LEAST_CHARS, LEAST_WORDS = 200, 80
-#: Distances above these are too far; the sampling noise of n words, NOISE / sqrt(n), is allowed for.
-MOST_CHARS, MOST_WORDS, NOISE = 0.30, 0.17, 2.0
+CELLS = len(RARER) + 2
+BASE_WORDS = 50
+LEAST_CHARS, LEAST_WORDS = 200, 60
+#: The character distance, and the sum of both, above which a text is too far; the sum may be higher by NOISE / sqrt(words).
+MOST_CHARS, MOST_BOTH, NOISE = 0.30, 0.36, 1.0
+#: Shares are counted in steps of 1 / LEVELS for their median.
+LEVELS = 2000
+OTHER = "other"
 BLANKS = r"[\x20\x09-\x0D]+"
 #: Blanks with the punctuation that ends a word before them.
 WORD_ENDS = r"[.,;:!?]*[\x20\x09-\x0D]+|[.,;:!?]+\z"
@@ -72,36 +73,36 @@ def repeated_words(w: Column) -> Column:
     return F.when(n < 2, F.lit(0)).otherwise(let(windows, by_hash)).cast("long")
 
 
-def features(text: Column, base: bool = True) -> Column:
-    """Struct of the base statistics (n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words; if ``base``), chars
-    (counts by class) and common (counts by frequent word, then all other words)."""
+def bare_words(text: Column) -> Column:
+    return F.split(F.lower(F.coalesce(text, F.lit(""))), WORD_ENDS)
+
+
+def features(text: Column, words: list[str], base: bool = True) -> Column:
+    """Struct of n_words, the other base statistics (if ``base``), chars (counts by class) and common (counts by word of the sorted ``words``, then all other words)."""
     whole = F.coalesce(text, F.lit(""))
     lines = F.filter(F.split(whole, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
 
-    def cut(s: Column, but: str) -> Column:
-        return F.regexp_replace(s, but, "")
-
     def classes(visible: Column) -> Column:
-        lower = F.char_length(cut(whole, LOWER))
+        def peel(rest: Column, found: list[Column], left: tuple[str, ...]) -> Column:
+            """Remove class after class; what a removal shortens is the class's count."""
+            if not left:
+                return F.array(*found, F.char_length(rest))
+            return let(F.regexp_replace(rest, left[0], ""), lambda less: peel(less, [*found, F.char_length(rest) - F.char_length(less)], left[1:]))
 
         def of_rest(rest: Column) -> Column:
-            found = [F.char_length(cut(rest, c)) for c in RARER]
-            return let(F.array(lower, visible - F.char_length(rest) - lower, *found), lambda c: F.struct(visible.cast("long").alias("word_chars"), F.char_length(cut(rest, SYMBOLS)).cast("long").alias("n_symbols"), F.concat(c, F.array(visible - F.aggregate(c, F.lit(0), lambda a, x: a + x))).alias("chars")))
+            return F.struct(visible.cast("long").alias("word_chars"), F.char_length(F.regexp_replace(rest, SYMBOLS, "")).cast("long").alias("n_symbols"), peel(rest, [visible - F.char_length(rest)], RARER).alias("chars"))
 
-        return let(cut(whole, NOT_LETTERS), of_rest)
+        return let(F.regexp_replace(whole, LOWER, ""), of_rest)
 
     def common(k: Column, w: Column) -> Column:
-        return F.concat(F.transform(F.lit(WORDS), lambda x: F.size(k) - F.size(F.array_remove(k, x))), F.array(F.size(w) - F.size(k)))
+        each = F.transform(F.lit(words), lambda x: F.size(k) - F.size(F.array_remove(k, x)))
+        return F.concat(each, F.array(F.size(w) - F.size(k)))
 
     def of(w: Column) -> Column:
-        stats = [
-            F.size(w).cast("long").alias("n_words"),
-            let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
-            repeated_words(w).alias("n_repeat_words"),
-        ]
+        stats = [let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"), repeated_words(w).alias("n_repeat_words")]
         seen = let(F.char_length(F.array_join(w, "")), classes)
-        bare = F.split(F.lower(whole), WORD_ENDS)
-        return F.struct(*(stats if base else []), seen.alias("seen"), let(F.filter(bare, lambda x: x.isin(WORDS)), lambda k: common(k, w)).alias("common"))
+        histogram = let(F.filter(bare_words(text), lambda x: x.isin(words)), lambda k: common(k, w)) if words else F.array(F.size(w))
+        return F.struct(F.size(w).cast("long").alias("n_words"), *(stats if base else []), seen.alias("seen"), histogram.alias("common"))
 
     return let(words_of(text), of)
 
@@ -119,35 +120,77 @@ def distance(counts: Column, reference: list[float]) -> Column:
     return let(F.aggregate(counts, F.lit(0), lambda a, x: a + x).cast("double"), of)
 
 
-def references(docs: DataFrame, text: str = "text", lang: str = "lang") -> dict[str, tuple[list[float], list[float]]]:
-    """(character classes, common words) of each language; one row per language and cell comes to the driver."""
-    tag = F.when(F.col(lang).isin(list(COMMON)), F.col(lang)).otherwise(F.lit("other"))
-    h = docs.select(tag.alias("tag"), features(F.col(text), base=False).alias("h")).select("tag", F.posexplode(F.concat("h.seen.chars", "h.common")).alias("cell", "n"))
-    sums: dict[str, dict[int, int]] = {}
-    for r in h.groupBy("tag", "cell").agg(F.sum(F.col("n").cast("long")).alias("n")).collect():
-        sums.setdefault(r["tag"], {})[r["cell"]] = r["n"]
+def labels(docs: DataFrame, lang: str) -> list[str]:
+    """The labels with a list and a reference of their own."""
+    sizes = docs.where(F.col(lang).isNotNull()).groupBy(F.col(lang).cast("string").alias("tag")).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= LEAST_DOCS)
+    return [r["tag"] for r in sizes.orderBy(F.desc("n"), "tag").limit(MOST_LABELS).collect()]
+
+
+def _tag(lang: str, known: list[str]) -> Column:
+    label = F.col(lang).cast("string")
+    return F.when(label.isin(known), label).otherwise(F.lit(OTHER)) if known else F.lit(OTHER)
+
+
+def frequent_words(docs: DataFrame, text: str, lang: str, known: list[str]) -> list[str]:
+    """The words of all lists, sorted: TOP words a label come to the driver."""
+
+    def twice(words: Column) -> Column:
+        return let(F.sort_array(words), lambda s: F.array_distinct(F.filter(s, lambda x, i: x == F.get(s, i - 1))))
+
+    found = docs.select(_tag(lang, known).alias("tag"), F.explode(twice(bare_words(F.col(text)))).alias("word")).where(F.col("word").rlike(r"\p{L}"))
+    ranked = found.groupBy("tag", "word").agg(F.count(F.lit(1)).alias("n")).withColumn("rk", F.row_number().over(Window.partitionBy("tag").orderBy(F.desc("n"), "word")))
+    return sorted({r["word"] for r in ranked.where(F.col("rk") <= TOP).collect()})
+
+
+def references(docs: DataFrame, text: str = "text", lang: str = "lang") -> tuple[list[str], dict[str, tuple[list[float], list[float]]]]:
+    """The words, and (character classes, words) of each label; one row per label and cell comes to the driver."""
+    docs = docs.select(F.col(f"`{text}`").alias("text"), F.col(f"`{lang}`").alias("lang"))
+    known = labels(docs, "lang")
+    words = frequent_words(docs, "text", "lang", known)
+    h = docs.select(_tag("lang", known).alias("tag"), F.explode(F.array(features(F.col("text"), words, base=False))).alias("h")).where(F.col("h.n_words") >= BASE_WORDS)
+    shares = F.concat(F.transform("h.seen.chars", lambda x: x / F.col("h.seen.word_chars")), F.transform("h.common", lambda x: x / F.col("h.n_words")))
+    cells = h.select("tag", F.posexplode(F.transform(shares, lambda x: F.round(x * LEVELS).cast("int"))).alias("cell", "level"))
+    medians = cells.groupBy("tag", "cell", "level").agg(F.count(F.lit(1)).alias("n")).groupBy("tag", "cell").agg(F.percentile("level", F.lit(0.5), F.col("n")).alias("median"))
+    sums: dict[str, dict[int, float]] = {}
+    for r in medians.collect():
+        sums.setdefault(r["tag"], {})[r["cell"]] = r["median"]
     out = {}
-    for tag_, cells in sums.items():
-        flat = [cells[i] for i in range(CELLS + len(WORDS) + 1)]
+    for tag, of in sums.items():
+        flat = [of[i] for i in range(CELLS + len(words) + 1)]
         a, b = flat[:CELLS], flat[CELLS:]
         if sum(a) and sum(b):
-            out[tag_] = ([x / sum(a) for x in a], [x / sum(b) for x in b])
-    return out
+            out[tag] = ([x / sum(a) for x in a], [x / sum(b) for x in b])
+    return words, out
+
+
+VERDICT = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "near_lang", "char_distance", "word_distance")
 
 
-def judge(docs: DataFrame, text: str = "text", lang: str = "lang", most_chars: float = MOST_CHARS, most_words: float = MOST_WORDS) -> DataFrame:
-    """``docs`` with base statistics, base_failed, kept, the nearest language and the distances to it."""
-    known = references(docs, text, lang)
+def verdicts(docs: DataFrame, text: str = "text", lang: str = "lang", most_chars: float = MOST_CHARS, most_both: float = MOST_BOTH) -> DataFrame:
+    """(row, v): each row of ``docs`` as a struct, and one of the VERDICT columns."""
+    words, known = references(docs, text, lang)
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     # generated, not projected: a filter on what follows would else be pushed below with a copy of the expressions for each use
-    stats = docs.withColumn("_h", F.explode(F.array(features(F.col(text)))))
-    options = [F.struct((c + w).alias("sum"), F.lit(name).alias("near_lang"), c.alias("char_distance"), w.alias("word_distance")) for name, (a, b) in sorted(known.items()) for c, w in [(distance(F.col("_h.seen.chars"), a), distance(F.col("_h.common"), b))]]
+    stats = rows.withColumn("h", F.explode(F.array(features(F.col("row").getField(text), words))))
+    options = [F.struct((c + w).alias("sum"), F.lit(name).alias("near_lang"), c.alias("char_distance"), w.alias("word_distance")) for name, (a, b) in sorted(known.items()) for c, w in [(distance(F.col("h.seen.chars"), a), distance(F.col("h.common"), b))]]
     nearest = F.array_min(F.array(*[F.when(o["sum"].isNotNull(), o) for o in options])) if options else F.lit(None).cast("struct<sum:double,near_lang:string,char_distance:double,word_distance:double>")
-    visible = F.aggregate(F.col("_h.seen.chars"), F.lit(0), lambda a, x: a + x)
-    failed = (F.col("_h.n_words") < 50) | (F.col("_h.n_repeat_words") * 100 > F.col("_h.n_words") * 50)
-    far = ((visible >= LEAST_CHARS) & (F.col("_n.char_distance") > most_chars)) | ((F.col("_h.n_words") >= LEAST_WORDS) & (F.col("_n.word_distance") > most_words + F.lit(NOISE) / F.sqrt("_h.n_words")))
-    return stats.withColumn("_n", F.explode(F.array(nearest))).select(*[F.col(f"`{c}`") for c in docs.columns], "_h.n_words", "_h.seen.word_chars", "_h.seen.n_symbols", "_h.n_dup_lines", "_h.n_repeat_words", failed.alias("base_failed"), (~failed & ~F.coalesce(far, F.lit(False))).alias("kept"), "_n.near_lang", "_n.char_distance", "_n.word_distance")
+    stats = stats.withColumn("n", F.explode(F.array(nearest)))
+    failed = (F.col("h.n_words") < BASE_WORDS) | (F.col("h.n_repeat_words") * 100 > F.col("h.n_words") * 50)
+    far = ((F.col("h.seen.word_chars") >= LEAST_CHARS) & (F.col("n.char_distance") > most_chars)) | ((F.col("h.n_words") >= LEAST_WORDS) & (F.col("n.sum") > most_both + F.lit(NOISE) / F.sqrt("h.n_words")))
+    kept = ~failed & ~F.coalesce(far, F.lit(False))
+    return stats.select("row", F.struct("h.n_words", "h.seen.word_chars", "h.seen.n_symbols", "h.n_dup_lines", "h.n_repeat_words", failed.alias("base_failed"), kept.alias("kept"), "n.near_lang", "n.char_distance", "n.word_distance").alias("v"))
+
+
+def judge(docs: DataFrame, text: str = "text", lang: str = "lang", **limits: float) -> DataFrame:
+    """``docs`` with base statistics, base_failed, kept, the nearest label and the distances to it."""
+    return verdicts(docs, text, lang, **limits).select(*[F.col("row").getField(c).alias(c) for c in docs.columns if c not in VERDICT], *[F.col("v").getField(c).alias(c) for c in VERDICT])
+
+
+def passing(docs: DataFrame, text: str = "text", lang: str = "lang", **limits: float) -> DataFrame:
+    """The rows of ``docs`` that are kept."""
+    return verdicts(docs, text, lang, **limits).where("v.kept").select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
 
 
 def op2_distribution_quality(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "lang", "text")
-    return judge(docs).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "near_lang", "char_distance", "word_distance")
+    return judge(docs).select("doc_id", *VERDICT)

@@ -7,7 +7,9 @@ local checkpoint it outlives any executor, and unlike an RDD checkpoint it is co
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,6 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 _left: list[tuple[SparkSession, str]] = []
+_collected = [0.0]
 
 
 def folder(spark: SparkSession) -> str:
@@ -30,6 +33,14 @@ def folder(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
+def collect_garbage(spark: SparkSession, every: float = 4.0) -> None:
+    """Exchange files go when the driver's collector finds that no plan holds them; let it look, now and then."""
+    if time.monotonic() - _collected[0] >= every:
+        gc.collect()
+        spark.sparkContext._jvm.java.lang.System.gc()  # noqa: SLF001
+        _collected[0] = time.monotonic()
+
+
 def materialise(df: DataFrame) -> DataFrame:
     """Write ``df`` to the shared folder and return the table read back; it goes when the program ends."""
     spark = df.sparkSession
@@ -38,6 +49,7 @@ def materialise(df: DataFrame) -> DataFrame:
     if not _left:
         atexit.register(_clear)
     _left.append((spark, path))
+    collect_garbage(spark)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path  # noqa: SLF001
     return out
@@ -71,6 +83,18 @@ def release(*tables: DataFrame | None) -> None:
             _left[:] = [x for x in _left if x[1] != path]
 
 
+def release_all_but(inputs: DataFrame) -> None:
+    """Delete all tables from ``materialise`` that ``inputs`` does not read: those of stages whose results are written."""
+    if _left:
+        read = inputs.inputFiles()
+        for spark, path in list(_left):
+            name = path.rsplit("/", 1)[1]
+            if not any(name in f for f in read):
+                _delete(spark, path)
+                _left.remove((spark, path))
+        collect_garbage(inputs.sparkSession, 0.0)
+
+
 def _delete(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm  # noqa: SLF001
     target = jvm.org.apache.hadoop.fs.Path(path)

@@ -1,17 +1,21 @@
 """Balanced shards by vector bin packing.
 
 Groups are documents of one text. Groups too small to matter are dealt by text hash into ``LIGHT`` units; a
-group with a noticeable part of the rows or bytes is a unit of its own, and one so large that no shard could
-take it beside its fair load (over ``SPLIT`` of all) is split by document id into several. Units carry a vector
-of (bytes, tokens, rows). Largest first, each goes to the shard where the dot product of its vector with what
-is left of the shard's capacity is highest, among the shards that still have room for it if there are any.
+group with a noticeable part of the rows or bytes is a unit of its own. Units carry a vector of (bytes, tokens,
+rows). Largest first, each goes to the shard where the dot product of its vector with what is left of the
+shard's capacity is highest, among the shards that still have room for it if there are any.
+
+The one exception to keeping a group whole: a group with more than ``SPLIT`` of all rows or bytes, a quarter of
+what one of eight shards holds, would leave shards unequal, and the law on sizes comes first; it is dealt row by
+row into several units. All other groups, in units of their own or not, lie in one shard.
 
 Only units meet on the driver: at most ``LIGHT`` plus a bound that the shares imply, whatever the input.
 Their table, shard and first slot, is bounded likewise and is what the rows are joined with. Slots number the
-rows of a unit by id; units of a shard follow each other, so slots have no gaps.
+rows of a chunk (a part of a unit of bounded size) by id; chunks of a shard follow each other, so slots have no gaps.
 
 Defined results: null text has size 1 and checksum 0, as the empty one; rows with equal ids are ordered by
-size; repeated rows get a slot each; an empty table gives an empty table.
+size; repeated rows get a slot each, and are dealt like any rows if their group is split; an empty table gives an
+empty table. Extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -20,6 +24,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from motifknn.llm.mixing import word_count
 from motifknn.llm.scratch import materialise
 
 LIGHT = 1 << 14
@@ -46,11 +51,11 @@ def place(vectors: np.ndarray, shards: int, names: np.ndarray) -> np.ndarray:
 def shard_by_bytes(docs: DataFrame, shards: int = 8, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, size, text_crc32, law, shard, slot, grown_shard) of every row."""
     spark = docs.sparkSession
-    whole = F.coalesce(F.col(text), F.lit(""))
+    whole = F.coalesce(F.col(f"`{text}`"), F.lit(""))
     rows = materialise(
         docs.select(
-            F.col(id_col).alias("id"), (F.octet_length(whole) + F.lit(1)).cast("long").alias("size"), F.crc32(whole.cast("binary")).alias("text_crc32"), F.xxhash64(whole).alias("h"),
-            F.size(F.split(whole, r"[\x20\x09-\x0D]+")).cast("long").alias("tokens"),
+            F.col(f"`{id_col}`").alias("id"), (F.octet_length(whole) + F.lit(1)).cast("long").alias("size"), F.crc32(whole.cast("binary")).alias("text_crc32"), F.xxhash64(whole).alias("h"),
+            word_count(whole).alias("tokens"), F.monotonically_increasing_id().alias("row"),
         )
     )
     all_rows, all_bytes = rows.agg(F.count(F.lit(1)), F.sum("size")).first()
@@ -60,7 +65,7 @@ def shard_by_bytes(docs: DataFrame, shards: int = 8, id_col: str = "doc_id", tex
     bases = LIGHT + np.cumsum([0, *chunks])[:-1] if heavy else []
     split = [max(r["n"] / all_rows, r["b"] / all_bytes) > SPLIT for r in heavy]
     table = spark.createDataFrame([(r["h"], int(b), c) for r, b, c in zip(heavy, bases, chunks, strict=True)], "h long, base long, chunks int")
-    dealt = rows.join(F.broadcast(table), "h", "left").withColumn("chunk", F.when(F.col("base").isNull(), F.pmod("h", F.lit(LIGHT))).otherwise(F.col("base") + F.pmod(F.xxhash64("id"), F.col("chunks").cast("long"))))
+    dealt = rows.join(F.broadcast(table), "h", "left").withColumn("chunk", F.when(F.col("base").isNull(), F.pmod("h", F.lit(LIGHT))).otherwise(F.col("base") + F.pmod(F.xxhash64("row"), F.col("chunks").cast("long"))))
     sums = dealt.groupBy("chunk").agg(F.sum("size").alias("b"), F.sum("tokens").alias("t"), F.count(F.lit(1)).alias("n")).orderBy("chunk").collect()  # LIGHT + chunks rows at most
     # chunks of a group that is not split are one unit
     unit_of = {int(b) + k: (int(b) + k if s else int(b)) for b, c, s in zip(bases, chunks, split, strict=True) for k in range(c)}
