@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from motifknn.llm.candidates import link_components
-from motifknn.llm.neardup import mix
+from motifknn.llm.neardup import distinct, mix
 from motifknn.llm.quality import let
 from motifknn.llm.scratch import few, materialise, release
 from motifknn.llm.tokens import by_bytes
@@ -126,7 +126,7 @@ def signatures(lines: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(n, bands, low) of lines of WIDTH characters or more, at most 2^LINE_BITS lines."""
     h, owner = shingle_hashes(lines)
     kept = np.uint64(64 - LINE_BITS)
-    keys = np.unique((owner.astype(np.uint64) << kept) | (h >> np.uint64(LINE_BITS)))
+    keys = distinct((owner.astype(np.uint64) << kept) | (h >> np.uint64(LINE_BITS)))
     n = np.bincount((keys >> kept).astype(np.int64), minlength=len(lines))
     last = np.cumsum(n)
     marks = np.arange(COORDS, dtype=np.uint64) * np.uint64(STEP >> LINE_BITS)
@@ -170,7 +170,7 @@ def confirm_arrow(both: DataFrame, percent: int) -> DataFrame:
                 names = sorted({*x, *y})
                 h, owner = shingle_hashes(names)
                 ends = np.searchsorted(owner, np.arange(len(names) + 1))
-                sets = {name: np.unique(h[s:e]) for name, s, e in zip(names, ends, ends[1:], strict=False)}
+                sets = {name: distinct(h[s:e]) for name, s, e in zip(names, ends, ends[1:], strict=False)}
                 good = []
                 for u, v in zip(x, y, strict=True):
                     common = len(np.intersect1d(sets[u], sets[v], assume_unique=True))
