@@ -7,7 +7,7 @@ boundary: every item starts at the root again. A split copies the items of the s
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterable
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -15,34 +15,43 @@ from pyspark.sql import functions as F
 
 
 class LocalAutomaton:
+    """States are numbers. A state's longest member is kept as where it ends: item, place and length."""
+
     def __init__(self) -> None:
-        self.span, self.up, self.next, self.ids, self.name = [0], [-1], [{}], [set()], [""]
+        self.span, self.up, self.next, self.ids, self.ends = [0], [-1], [{}], [set()], [(None, -1)]
+        self.seqs: dict[int, str] = {}
+        self.split_from: list[tuple[int, int]] = []  # (new, old) since it was last emptied
 
-    def _new(self, span: int, up: int, name: str, like: int | None = None) -> int:
+    def _new(self, span: int, up: int, end: tuple[int, int], like: int | None = None) -> int:
         self.span.append(span)
         self.up.append(up)
-        self.name.append(name)
+        self.ends.append(end)
         self.next.append({} if like is None else dict(self.next[like]))
         self.ids.append(set() if like is None else set(self.ids[like]))
         return len(self.span) - 1
 
+    def name(self, state: int) -> str:
+        """The longest member."""
+        item, at = self.ends[state]
+        return "" if state == 0 else self.seqs[item][at + 1 - self.span[state] : at + 1]
+
     def _split(self, p: int, symbol: str, q: int) -> int:
         """The part of q that ends where p's extension ends; q itself if it is no longer than that."""
         if self.span[q] == self.span[p] + 1:
             return q
-        short = self.name[q][len(self.name[q]) - self.span[p] - 1 :]
-        c = self._new(self.span[p] + 1, self.up[q], short, q)
+        c = self._new(self.span[p] + 1, self.up[q], self.ends[q], q)
+        self.split_from.append((c, q))
         self.up[q] = c
         while p >= 0 and self.next[p].get(symbol) == q:
             self.next[p][symbol] = c
             p = self.up[p]
         return c
 
-    def extend(self, last: int, symbol: str, whole: str) -> int:
-        """The state of the prefix ``whole`` that ends with ``symbol`` after state ``last``."""
+    def extend(self, last: int, symbol: str, end: tuple[int, int]) -> int:
+        """The state of the prefix that ends at ``end`` with ``symbol``, after state ``last``."""
         if symbol in self.next[last]:
             return self._split(last, symbol, self.next[last][symbol])
-        new, p = self._new(self.span[last] + 1, 0, whole), last
+        new, p = self._new(self.span[last] + 1, 0, end), last
         while p >= 0 and symbol not in self.next[p]:
             self.next[p][symbol] = new
             p = self.up[p]
@@ -60,12 +69,15 @@ class LocalAutomaton:
         self.ids[0].add(item)
         return touched
 
-    def add(self, item: int, seq: str | None) -> None:
+    def add(self, item: int, seq: str | None) -> list[int]:
+        """The states whose ids the item joins, in the order in which it does."""
         self.ids[0].add(item)
-        last = 0
+        self.seqs[item] = seq or ""
+        last, touched = 0, []
         for i, symbol in enumerate(seq or ""):
-            last = self.extend(last, symbol, seq[: i + 1])
-            self.propagate(last, item)
+            last = self.extend(last, symbol, (item, i))
+            touched += self.propagate(last, item)
+        return touched
 
     def locate(self, pattern: str) -> int | None:
         at = 0
@@ -92,16 +104,16 @@ class LocalAutomaton:
         return out
 
     def donors(self) -> tuple[dict[int, int], dict[int, set[int]]]:
-        """(donor, residual ids) of each state: the largest residual anywhere below; ties to the smaller name."""
+        """(donor, residual ids) of each state: the largest residual anywhere below; ties to the shorter, then older state."""
         donor: dict[int, int] = {}
         held: dict[int, set[int]] = {}
         best: dict[int, int] = {}
         for s in self.order():
             below = {best[t] for t in self.next[s].values()}
             if below:
-                donor[s] = min(below, key=lambda t: (-len(held[t]), self.name[t]))
+                donor[s] = min(below, key=lambda t: (-len(held[t]), self.span[t], t))
             held[s] = self.ids[s] - held[donor[s]] if s in donor else set(self.ids[s])
-            best[s] = min({s, *([donor[s]] if s in donor else [])}, key=lambda t: (-len(held[t]), self.name[t]))
+            best[s] = min({s, *([donor[s]] if s in donor else [])}, key=lambda t: (-len(held[t]), self.span[t], t))
         return donor, held
 
 
@@ -112,10 +124,60 @@ def build(items: Iterable[tuple[int, str | None]]) -> LocalAutomaton:
     return a
 
 
-def segment_tables(corpus: DataFrame, segments: int = 1) -> DataFrame:
+class OnlineIndex:
+    """Raw lists over an automaton that stay an exact cover while items come one by one.
+
+    An item that joins a state goes into the state's own list only if the donor's list does not give it; states
+    that are led to come first, so that a donor's list is settled before its heirs look. A state that a split has
+    made since has no list yet: it is served by all its ids until lists are built anew.
+    """
+
+    def __init__(self, automaton: LocalAutomaton):
+        self.a = automaton
+        self.rebuild()
+
+    def rebuild(self) -> None:
+        self.donor, self.held = self.a.donors()
+        self.fresh: set[int] = set()
+
+    def insert(self, item: int, seq: str | None) -> list[int]:
+        before = len(self.a.span)
+        self.a.split_from.clear()
+        touched = set(self.a.add(item, seq))
+        self.fresh |= set(range(before, len(self.a.span)))
+        for s in self.a.order():
+            if (s in touched or s == 0) and s not in self.fresh and item not in self.held.get(self.donor.get(s), ()):
+                self.held[s].add(item)
+        return sorted(touched)
+
+    def cover(self, state: int) -> tuple[set[int], set[int]]:
+        """(own, donor's) ids of a state."""
+        if state in self.fresh:
+            return set(self.a.ids[state]), set()
+        return self.held[state], self.held[self.donor[state]] if state in self.donor else set()
+
+    def matches(self, pattern: str) -> set[int]:
+        state = self.a.locate(pattern)
+        return set() if state is None else set.union(*self.cover(state))
+
+
+#: Symbols that a task's automaton is built over, about; an automaton takes a few hundred bytes a symbol.
+SEGMENT_SYMBOLS = 2_000_000
+
+
+def dealt(corpus: DataFrame, segments: int | None) -> DataFrame:
+    """(segment, id, seq) by id hash; without ``segments``, as many as the symbols ask for."""
+    if segments is None:
+        total = corpus.agg(F.sum(F.char_length("seq"))).first()[0] or 0
+        segments = max(1, -(-total // SEGMENT_SYMBOLS))
+    return corpus.select(F.pmod(F.xxhash64("id"), F.lit(segments)).cast("int").alias("segment"), "id", "seq")
+
+
+def segment_tables(corpus: DataFrame, segments: int | None = None, names: bool = True) -> DataFrame:
     """(segment, state, link, span, n_ids, n_held, donor, n_next) of an automaton for each segment of items.
 
-    Segments are independent: items are dealt by id hash and each is built in one task, sorted by id.
+    Segments are independent, each is built in one task, items sorted by id. States are written as their longest
+    members, which for long sequences is far more than the automaton; without ``names`` as item:end:length.
     """
     schema = "segment int, state string, link string, span int, n_ids long, n_held long, donor string, n_next int"
 
@@ -123,19 +185,20 @@ def segment_tables(corpus: DataFrame, segments: int = 1) -> DataFrame:
         pdf = pdf.sort_values("id")
         a = build(zip(pdf["id"], pdf["seq"], strict=True))
         donor, held = a.donors()
-        rows = [(int(pdf["segment"].iloc[0]), a.name[s], a.name[a.up[s]] if s else None, a.span[s], len(a.ids[s]), len(held[s]), a.name[donor[s]] if s in donor else None, len(a.next[s])) for s in range(len(a.span))]
+        name = a.name if names else lambda s: "{}:{}:{}".format(*a.ends[s], a.span[s]) if s else ""
+        rows = [(int(pdf["segment"].iloc[0]), name(s), name(a.up[s]) if s else None, a.span[s], len(a.ids[s]), len(held[s]), name(donor[s]) if s in donor else None, len(a.next[s])) for s in range(len(a.span))]
         return pd.DataFrame(rows, columns=[c.split()[0] for c in schema.split(", ")])
 
-    return corpus.select(F.pmod(F.xxhash64("id"), F.lit(segments)).cast("int").alias("segment"), "id", "seq").groupBy("segment").applyInPandas(run, schema)
+    return dealt(corpus, segments).groupBy("segment").applyInPandas(run, schema)
 
 
-def segment_matches(corpus: DataFrame, queries: DataFrame, segments: int = 1) -> DataFrame:
-    """(qid, id): items of each pattern, of any length, by walking every segment's automaton."""
+def segment_matches(corpus: DataFrame, queries: DataFrame, segments: int | None = None) -> DataFrame:
+    """(qid, id): items of each pattern, of any length, by walking every segment's automaton to its state and its donor's list."""
     asked = [(r["qid"], r["pattern"]) for r in queries.select("qid", "pattern").collect()]
 
-    def run(pdf: pd.DataFrame) -> Iterator[pd.DataFrame] | pd.DataFrame:
-        a = build(zip(pdf["id"], pdf["seq"], strict=True))
-        rows = [(q, i) for q, p in asked if (s := a.locate(p)) is not None for i in a.ids[s]]
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        index = OnlineIndex(build(zip(pdf["id"], pdf["seq"], strict=True)))
+        rows = [(q, i) for q, p in asked for i in sorted(index.matches(p))]
         return pd.DataFrame(rows, columns=["qid", "id"])
 
-    return corpus.select(F.pmod(F.xxhash64("id"), F.lit(segments)).cast("int").alias("segment"), "id", "seq").groupBy("segment").applyInPandas(run, "qid long, id long")
+    return dealt(corpus, segments).groupBy("segment").applyInPandas(run, "qid long, id long")

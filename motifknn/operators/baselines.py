@@ -7,11 +7,13 @@ from pyspark.sql import functions as F
 
 from motifknn.functions.patterns import contains, occurrences
 from motifknn.functions.vectors import distance
-from motifknn.operators.exact import exact_topk, keep_nearest, measured
+from motifknn.operators.exact import exact_topk, keep_nearest, nearest_of, of_all
 from motifknn.operators.graph import build_graphs, search_graphs
 from motifknn.operators.index import ClassIndex, locate
 from motifknn.plans.staging import staged
 
+Graph = tuple[DataFrame, DataFrame]  # lists (state, id), edges
+
 
 def per_pattern_build(corpus: DataFrame, cap: int, threshold: int | None = None, m: int = 16, ef_con: int = 200) -> tuple[DataFrame, DataFrame | None]:
     """(lists: state, id; edges): a list for every pattern, a graph where it has ``threshold`` items or more."""
@@ -22,19 +24,25 @@ def per_pattern_build(corpus: DataFrame, cap: int, threshold: int | None = None,
     return lists, staged(build_graphs(lists.join(large, "state"), corpus, m, ef_con))
 
 
-def per_pattern_query(lists: DataFrame, edges: DataFrame | None, corpus: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
+def per_pattern_query(lists: DataFrame, edges: DataFrame | None, corpus: DataFrame, queries: DataFrame, k: int = 10, counters: bool = False) -> DataFrame:
     asked = queries.withColumn("state", F.col("pattern"))
-    if edges is None:
-        return keep_nearest(measured(asked.select("state", "qid").join(lists, "state").select("qid", "id"), corpus, queries), k)
-    with_graph = edges.select("state").distinct()
-    raw = measured(asked.select("state", "qid").join(with_graph, "state", "left_anti").join(lists, "state").select("qid", "id"), corpus, queries)
-    return keep_nearest(raw.unionByName(search_graphs(edges, lists, corpus, asked.join(with_graph, "state", "left_semi")).select("qid", "id", "dist")), k)
+    alone, found = asked, None
+    if edges is not None:
+        with_graph = edges.select("state").distinct()
+        alone = asked.join(with_graph, "state", "left_anti")
+        found = search_graphs(edges, lists, corpus, asked.join(with_graph, "state", "left_semi"))
+    pairs = alone.select("state", "qid").join(lists, "state").select("qid", "id")
+    if counters:
+        work = pairs.groupBy("qid").agg(F.count(F.lit(1)).alias("distances"))
+        return work if found is None else work.unionByName(found.groupBy("qid", "shard").agg(F.max("distances").alias("distances")).groupBy("qid").agg(F.sum("distances").alias("distances")))
+    near = nearest_of(pairs, corpus, queries, k)
+    return keep_nearest(near if found is None else near.unionByName(found.select("qid", "id", "dist")), k)
 
 
 def filter_first(index: ClassIndex, queries: DataFrame, k: int = 10) -> DataFrame:
     """Look the pattern's items up, measure them all."""
     ids = locate(index, queries).select("state", "qid").join(index.postings, "state").select("qid", "id")
-    return keep_nearest(measured(ids, index.corpus, queries), k)
+    return keep_nearest(nearest_of(ids, index.corpus, queries, k), k)
 
 
 def filter_first_scan(corpus: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
@@ -42,26 +50,36 @@ def filter_first_scan(corpus: DataFrame, queries: DataFrame, k: int = 10) -> Dat
     return exact_topk(corpus, queries, k)
 
 
-def global_graph(corpus: DataFrame, m: int = 16, ef_con: int = 200, shards: int = 1) -> tuple[DataFrame, DataFrame]:
+def global_graph(corpus: DataFrame, m: int = 16, ef_con: int = 200, shards: int | None = None) -> Graph:
     """(lists, edges) of one graph over everything."""
     lists = corpus.select(F.lit("").alias("state"), "id")
     return lists, staged(build_graphs(lists, corpus, m, ef_con, shards))
 
 
-def search_first(graph: tuple[DataFrame, DataFrame], corpus: DataFrame, queries: DataFrame, ef: int = 160, k: int = 10, shards: int = 1) -> DataFrame:
-    """The ef nearest of everything, then the filter, then the cut."""
+def _nearest_of_graph(graph: Graph, corpus: DataFrame, queries: DataFrame, ef: int) -> DataFrame:
     lists, edges = graph
-    near = search_graphs(edges, lists, corpus, queries.withColumn("state", F.lit("")).withColumn("ef", F.lit(ef)), shards)
-    top = near.withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("dist", "id"))).where(F.col("r") <= ef)
-    kept = top.join(corpus.select("id", "seq"), "id").join(queries.select("qid", "pattern"), "qid").where(contains(F.col("seq"), F.col("pattern")))
+    return search_graphs(edges, lists, corpus, queries.withColumn("state", F.lit("")).withColumn("ef", F.lit(ef)))
+
+
+def _filtered(top: DataFrame, corpus: DataFrame, queries: DataFrame, k: int, hit: Column | None = None) -> DataFrame:
+    """The late filter, then the cut."""
+    hit = contains(F.col("seq"), F.col("pattern")) if hit is None else hit
+    kept = top.select("qid", "id", "dist").join(corpus.select("id", "seq"), "id").join(queries.select("qid", "pattern"), "qid").where(hit)
     return keep_nearest(kept.select("qid", "id", "dist"), k)
 
 
+def search_first(graph: Graph, corpus: DataFrame, queries: DataFrame, ef: int = 160, k: int = 10, counters: bool = False) -> DataFrame:
+    """The ef nearest of everything, then the filter, then the cut."""
+    near = _nearest_of_graph(graph, corpus, queries, ef)
+    if counters:
+        return near.groupBy("qid", "shard").agg(F.max("distances").alias("distances")).groupBy("qid").agg(F.sum("distances").alias("distances"))
+    top = near.withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("dist", "id"))).where(F.col("r") <= ef)
+    return _filtered(top, corpus, queries, k)
+
+
 def search_first_exact(corpus: DataFrame, queries: DataFrame, ef: int, k: int = 10) -> DataFrame:
     """Search-first over an exact global search: what it loses is lost by the late filter alone."""
-    near = corpus.crossJoin(queries.select("qid", "qvec", "pattern")).select("qid", "id", F.round(distance(F.col("vec"), F.col("qvec")), 4).alias("dist"), contains(F.col("seq"), F.col("pattern")).alias("ok"))
-    top = near.withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("dist", "id"))).where((F.col("r") <= ef) & F.col("ok"))
-    return keep_nearest(top.select("qid", "id", "dist"), k)
+    return _filtered(keep_nearest(of_all(corpus, queries, ef), ef), corpus, queries, k)
 
 
 def search_first_expanding(corpus: DataFrame, queries: DataFrame, ef: int, k: int = 10, most: int | None = None) -> DataFrame:
@@ -82,24 +100,53 @@ def search_first_expanding(corpus: DataFrame, queries: DataFrame, ef: int, k: in
         ef = min(n, 2 * ef)
 
 
-def sql_hybrid(corpus: DataFrame, queries: DataFrame, ef: int = 160, threshold: float = 0.5, k: int = 10) -> DataFrame:
+def search_first_expanding_graph(graph: Graph, corpus: DataFrame, queries: DataFrame, ef: int, k: int = 10) -> DataFrame:
+    """The same over a graph: it ends when all queries have k answers or ef covers everything."""
+    n, open_, done = corpus.count(), staged(queries), None
+    while True:
+        got = staged(search_first(graph, corpus, open_, ef, k))
+        enough = got.groupBy("qid").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= k).select("qid")
+        last = ef >= n
+        final = got if last else got.join(enough, "qid", "left_semi")
+        done = final if done is None else done.unionByName(final)
+        open_ = staged(open_.join(enough, "qid", "left_anti"))
+        if last or open_.isEmpty():
+            return done
+        ef = min(n, 4 * ef)
+
+
+def sql_hybrid(corpus: DataFrame, queries: DataFrame, ef: int = 160, threshold: float = 0.5, k: int = 10, graph: Graph | None = None) -> DataFrame:
     """Relational text query with LIKE; the share of matching items decides between filter-first and search-first.
 
-    One statement with one LIKE template per query, as a user of a relational engine writes it.
+    Templates are a column of the query table, one join with LIKE. The late branch searches ``graph``, as a relational
+    engine with a vector graph does, or everything exactly without one.
     """
     n = corpus.count()
     asked = queries.select("qid", "qvec", F.concat(F.lit("%"), F.regexp_replace("pattern", "([!%_])", "!$1"), F.lit("%")).alias("template"))
     match = F.expr("seq LIKE template ESCAPE '!'")
-    share = corpus.select("seq").join(asked.select("qid", "template"), match).groupBy("qid").agg((F.count(F.lit(1)) / F.lit(max(n, 1))).alias("share"))
+    share = staged(corpus.select("seq").join(asked.select("qid", "template"), match).groupBy("qid").agg((F.count(F.lit(1)) / F.lit(max(n, 1))).alias("share")))
     filter_branch = asked.join(share.where(F.col("share") < threshold).select("qid"), "qid", "left_semi")
-    first = keep_nearest(corpus.join(filter_branch, match).select("qid", "id", distance(F.col("vec"), F.col("qvec")).alias("dist")), k)
-    wide = queries.join(share.where(F.col("share") >= threshold).select("qid"), "qid", "left_semi")
-    return first.unionByName(search_first_exact(corpus, wide, ef, k))
+    first = keep_nearest(nearest_of(corpus.join(filter_branch, match).select("qid", "id"), corpus, queries, k), k)
+    wide = staged(queries.join(share.where(F.col("share") >= threshold).select("qid"), "qid", "left_semi"))
+    if wide.isEmpty():
+        return first
+    return first.unionByName(search_first_exact(corpus, wide, ef, k) if graph is None else search_first(graph, corpus, wide, ef, k))
+
+
+def _hit(mode: str) -> Column:
+    return contains(F.col("seq"), F.col("pattern")) if mode == "wildcard" else F.array_contains(F.split("seq", " "), F.col("pattern"))
 
 
 def keyword_knn(corpus: DataFrame, queries: DataFrame, num_candidates: int = 100, shards: int = 4, mode: str = "wildcard", k: int = 10) -> DataFrame:
     """Per shard the nearest ``num_candidates`` that pass the filter (substring, or a whole token), then the nearest of all."""
-    hit: Column = contains(F.col("seq"), F.col("pattern")) if mode == "wildcard" else F.array_contains(F.split("seq", " "), F.col("pattern"))
-    near = corpus.join(queries.select("qid", "pattern", "qvec"), hit).select("qid", "id", F.round(distance(F.col("vec"), F.col("qvec")), 4).alias("dist"), F.pmod("id", F.lit(shards)).alias("shard"))
+    near = corpus.join(queries.select("qid", "pattern", "qvec"), _hit(mode)).select("qid", "id", F.round(distance(F.col("vec"), F.col("qvec")), 4).alias("dist"), F.pmod("id", F.lit(shards)).alias("shard"))
     top = near.withColumn("r", F.row_number().over(Window.partitionBy("qid", "shard").orderBy("dist", "id"))).where(F.col("r") <= num_candidates)
     return keep_nearest(top.select("qid", "id", "dist"), k)
+
+
+def keyword_knn_graph(graph: Graph, corpus: DataFrame, queries: DataFrame, num_candidates: int = 100, mode: str = "wildcard", k: int = 10, counters: bool = False) -> DataFrame:
+    """The same over a graph for each shard (``global_graph`` with shards): every shard gives its ``num_candidates`` nearest, the filter comes after."""
+    near = _nearest_of_graph(graph, corpus, queries, num_candidates)
+    if counters:
+        return near.groupBy("qid", "shard").agg(F.max("distances").alias("distances")).groupBy("qid").agg(F.sum("distances").alias("distances"))
+    return _filtered(near, corpus, queries, k, _hit(mode))

@@ -10,23 +10,26 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from motifknn.functions.patterns import PLACES, ends, occurrences
+from motifknn.functions.patterns import ends
+
+#: The first end, as item and place, and the number of ends name a class.
+KEY = ["first_id", "first_at", "occ"]
 
 
 def pattern_dict(occ: DataFrame) -> DataFrame:
-    """(pattern, first_end, occ, n_ids) of each pattern from ``occurrences``."""
-    return occ.groupBy("pattern").agg(F.min(F.col("id") * PLACES + F.col("first")).alias("first_end"), F.sum("times").alias("occ"), F.count(F.lit(1)).alias("n_ids"))
+    """(pattern, first_id, first_at, occ, n_ids) of each pattern from ``occurrences``: numbers only, so that hash aggregation serves."""
+    return occ.groupBy("pattern").agg(F.min("id").alias("first_id"), F.min_by("first", "id").alias("first_at"), F.sum("times").alias("occ"), F.count(F.lit(1)).alias("n_ids"))
 
 
 def pattern_classes(patterns: DataFrame) -> DataFrame:
-    """(state, first_end, occ, n_ids, shortest, min_len, max_len); the longest member names the state."""
+    """(state, first_id, first_at, occ, n_ids, shortest, min_len, max_len); the longest member names the state."""
     n = F.char_length("pattern")
-    return patterns.groupBy("first_end", "occ").agg(F.max_by("pattern", n).alias("state"), F.min_by("pattern", n).alias("shortest"), F.min(n).alias("min_len"), F.max(n).alias("max_len"), F.max("n_ids").alias("n_ids"))
+    return patterns.groupBy(*KEY).agg(F.max_by("pattern", n).alias("state"), F.min_by("pattern", n).alias("shortest"), F.min(n).alias("min_len"), F.max(n).alias("max_len"), F.max("n_ids").alias("n_ids"))
 
 
 def members(patterns: DataFrame, classes: DataFrame) -> DataFrame:
     """(pattern, state): the routing table of queries."""
-    return patterns.join(classes.select("first_end", "occ", "state"), ["first_end", "occ"]).select("pattern", "state", "first_end", "occ", "n_ids")
+    return patterns.join(classes.select(*KEY, "state"), KEY).select("pattern", "state", *KEY, "n_ids")
 
 
 def postings(occ: DataFrame, classes: DataFrame) -> DataFrame:

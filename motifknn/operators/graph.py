@@ -1,8 +1,8 @@
 """Layered proximity graphs over the items of a state, in numpy inside Arrow groups.
 
 Reproducible: a node's top layer comes from a hash of its id, nodes are inserted in id order. Large states are
-dealt to shards by id hash; shards are built and searched alone and answers merged, so no state is a serial
-tail. Counters of distances and visited nodes come with every search.
+dealt to shards by id hash, as many as their size asks for; shards are built and searched alone and answers
+merged, so no state is a serial tail. Counters of distances and visited nodes come with every search.
 """
 
 from __future__ import annotations
@@ -141,12 +141,20 @@ class ProximityGraph:
 EDGES = "state string, shard int, level int, node_id long, neighbours array<long>"
 
 
-def sharded(residuals: DataFrame, corpus: DataFrame, shards: int = 1) -> DataFrame:
-    """(state, shard, id, vec)."""
-    return residuals.select("state", "id").join(corpus.select("id", "vec"), "id").withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int"))
+#: Nodes of a graph beyond which a state is dealt to several.
+SHARD_NODES = 20_000
 
 
-def build_graphs(residuals: DataFrame, corpus: DataFrame, m: int = 16, ef_con: int = 200, shards: int = 1, diverse: bool = True, strict: bool = False) -> DataFrame:
+def sharded(residuals: DataFrame, corpus: DataFrame, shards: int | None = None) -> DataFrame:
+    """(state, shard, id, vec); without ``shards`` a state has one for every SHARD_NODES of its items."""
+    rows = residuals.select("state", "id").join(corpus.select("id", "vec"), "id")
+    if shards is not None:
+        return rows.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int"))
+    sizes = residuals.groupBy("state").agg(F.ceil(F.count(F.lit(1)) / SHARD_NODES).alias("_n"))
+    return rows.join(sizes, "state").withColumn("shard", F.pmod(F.xxhash64("id"), F.col("_n")).cast("int")).drop("_n")
+
+
+def build_graphs(residuals: DataFrame, corpus: DataFrame, m: int = 16, ef_con: int = 200, shards: int | None = None, diverse: bool = True, strict: bool = False) -> DataFrame:
     """Edge table of one graph for each (state, shard); all groups are independent, so one stage builds them."""
 
     def build(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -157,23 +165,29 @@ def build_graphs(residuals: DataFrame, corpus: DataFrame, m: int = 16, ef_con: i
     return sharded(residuals, corpus, shards).groupBy("state", "shard").applyInPandas(build, EDGES)
 
 
-def search_graphs(edges: DataFrame, residuals: DataFrame, corpus: DataFrame, wanted: DataFrame, shards: int = 1) -> DataFrame:
-    """(qid, id, dist, distances, visited) from wanted (state, qid, qvec, k, ef): every shard answers, the caller merges."""
-    out = "qid long, id long, dist double, distances long, visited long"
-    asked = wanted.select("state", "qid", "qvec", "k", "ef").withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
-    rows = sharded(residuals, corpus, shards).join(wanted.select("state").distinct(), "state", "left_semi")
+def search_graphs(edges: DataFrame, residuals: DataFrame, corpus: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(qid, state, shard, id, dist, distances, visited) from wanted (state, qid, qvec, k, ef): every shard answers, the caller merges.
+
+    A graph is what its edges say: nodes that are asked for and their vectors are fetched, no others are moved.
+    """
+    out = "qid long, state string, shard int, id long, dist double, distances long, visited long"
+    states = wanted.select("state").distinct()
+    links = edges.join(states, "state", "left_semi")
+    asked = wanted.select("state", "qid", "qvec", "k", "ef").join(links.select("state", "shard").distinct(), "state").select(F.col("state").alias("of"), F.col("shard").alias("part"), "qid", "qvec", "k", "ef")
+    rows = links.where("level = 0").select("state", "shard", F.col("node_id").alias("id")).join(corpus.select("id", "vec"), "id")
     packed = rows.select("state", "shard", F.lit(0).alias("kind"), F.lit(0).alias("level"), F.col("id").alias("a"), F.col("vec").cast("array<double>").alias("vec"), F.lit(None).cast("array<long>").alias("around"))
-    packed = packed.union(edges.join(wanted.select("state").distinct(), "state", "left_semi").select("state", "shard", F.lit(1), "level", "node_id", F.lit(None).cast("array<double>"), "neighbours"))
+    packed = packed.union(links.select("state", "shard", F.lit(1), "level", "node_id", F.lit(None).cast("array<double>"), "neighbours"))
 
     def search(graph: pd.DataFrame, queries: pd.DataFrame) -> pd.DataFrame:
         got: list[tuple] = []
         if len(graph) and len(queries):
-            nodes, links = graph[graph["kind"] == 0], graph[graph["kind"] == 1]
-            g = ProximityGraph.load(nodes["a"].to_numpy(), np.stack(nodes["vec"].to_numpy()), links.rename(columns={"a": "node_id", "around": "neighbours"}))
+            nodes, around = graph[graph["kind"] == 0], graph[graph["kind"] == 1]
+            g = ProximityGraph.load(nodes["a"].to_numpy(), np.stack(nodes["vec"].to_numpy()), around.rename(columns={"a": "node_id", "around": "neighbours"}))
+            state, shard = graph["state"].iloc[0], graph["shard"].iloc[0]
             for qid, qvec, k, ef in zip(queries["qid"], queries["qvec"], queries["k"], queries["ef"], strict=True):
                 g.distances = g.visited = 0
                 found = g.search(np.asarray(qvec), int(k), int(ef))
-                got += [(qid, i, d, g.distances, g.visited) for d, i in found]
-        return pd.DataFrame(got, columns=["qid", "id", "dist", "distances", "visited"])
+                got += [(qid, state, shard, i, d, g.distances, g.visited) for d, i in found]
+        return pd.DataFrame(got, columns=["qid", "state", "shard", "id", "dist", "distances", "visited"])
 
-    return packed.groupBy("state", "shard").cogroup(asked.groupBy("state", "shard")).applyInPandas(search, out)
+    return packed.groupBy("state", "shard").cogroup(asked.groupBy("of", "part")).applyInPandas(search, out)

@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from motifknn.functions.patterns import contains, occurrences
+from motifknn.functions.patterns import contains, occurrences, wildcard_regex
 from motifknn.operators import classes as C
-from motifknn.operators.exact import keep_nearest, measured
+from motifknn.operators.exact import keep_nearest, matches_of, nearest_of, of_all, valid
 from motifknn.operators.graph import build_graphs, search_graphs
 from motifknn.operators.reuse import choose_donors, decide_kind
 from motifknn.plans.staging import staged
@@ -17,17 +17,20 @@ from motifknn.plans.staging import staged
 
 @dataclass
 class ClassIndex:
+    """``delta`` holds the present version of each row inserted since the build, ``dead`` the ids whose built version no longer counts."""
+
     corpus: DataFrame
     cap: int
-    shards: int
-    routes: DataFrame  # pattern, state, first_end, occ, n_ids
+    shards: int | None
+    routes: DataFrame  # pattern, state, first_id, first_at, occ, n_ids
     classes: DataFrame
     postings: DataFrame
     states: DataFrame  # state, donor, base, held, kind
     residuals: DataFrame  # state, id
     edges: DataFrame | None
-    delta: DataFrame | None = None  # rows inserted since the build
-    gone: DataFrame | None = None  # ids deleted since then
+    delta: DataFrame | None = None
+    dead: DataFrame | None = None
+    rejected: DataFrame | None = None  # rows without a usable vector
 
 
 def class_tables(corpus: DataFrame, cap: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
@@ -36,20 +39,20 @@ def class_tables(corpus: DataFrame, cap: int) -> tuple[DataFrame, DataFrame, Dat
     patterns = C.pattern_dict(occ)
     found = staged(C.pattern_classes(patterns))
     routes = staged(C.members(patterns, found))
-    return occ, found, routes, C.postings(occ, found)
+    return occ, found, routes, staged(C.postings(occ, found))
 
 
-def build_class_index(corpus: DataFrame, cap: int = 4, threshold: int | None = None, reuse: bool = True, skip: bool = True, on: str = "base", rule: str = "subtree", m: int = 16, ef_con: int = 200, shards: int = 1, metric: str = "l2sq") -> ClassIndex:
-    """Patterns up to ``cap`` symbols; ``threshold`` None keeps every state a raw list."""
+def build_class_index(corpus: DataFrame, cap: int = 4, threshold: int | None = None, reuse: bool = True, skip: bool = True, on: str = "base", rule: str = "subtree", m: int = 16, ef_con: int = 200, shards: int | None = None) -> ClassIndex:
+    """Patterns up to ``cap`` symbols; ``threshold`` None keeps every state a raw list. Large graphs are cut into shards by size unless ``shards`` says how."""
+    corpus, rejected = valid(corpus)
     _, found, routes, posted = class_tables(corpus, cap)
-    posted = staged(posted)
     donors, residuals = choose_donors(found, C.transitions(routes), posted, rule if reuse else "none")
     kinds = staged(decide_kind(donors, threshold if threshold is not None else 1 << 62, on, skip))
     graphs = kinds.where("kind = 'graph'").select("state")
     edges = None
     if threshold is not None and not graphs.isEmpty():
         edges = staged(build_graphs(residuals.join(graphs, "state"), corpus, m, ef_con, shards))
-    return ClassIndex(corpus, cap, shards, routes, found, posted, kinds, residuals, edges)
+    return ClassIndex(corpus, cap, shards, routes, found, posted, kinds, residuals, edges, rejected=rejected)
 
 
 def locate(index: ClassIndex, queries: DataFrame) -> DataFrame:
@@ -66,54 +69,109 @@ def sources(index: ClassIndex, queries: DataFrame) -> DataFrame:
     return own.unionByName(donor)
 
 
+def rarest_windows(index: ClassIndex, asked: DataFrame) -> DataFrame:
+    """(qid, whole, id) of candidates from asked (qid, whole, windows): items of the rarest window, whole still to be verified."""
+    windows = asked.select("qid", "whole", F.explode("windows").alias("pattern"))
+    known = windows.join(index.routes.select("pattern", "state", "n_ids"), "pattern", "left")
+    rare = known.groupBy("qid", "whole").agg(F.min_by("state", F.coalesce("n_ids", F.lit(0))).alias("state"), F.max(F.col("state").isNull().cast("int")).alias("absent")).where("absent = 0")
+    return rare.join(index.postings, "state").select("qid", "whole", "id")
+
+
+def long_matches(index: ClassIndex, queries: DataFrame) -> DataFrame:
+    """(qid, id) of the built items that have a pattern longer than the cap."""
+    cap = index.cap
+    windows = F.transform(F.sequence(F.lit(1), F.char_length("pattern") - cap + 1), lambda i: F.substring("pattern", i, F.lit(cap)))
+    found = rarest_windows(index, queries.where(F.char_length("pattern") > cap).select("qid", F.col("pattern").alias("whole"), windows.alias("windows")))
+    return found.join(index.corpus.select("id", "seq"), "id").where(contains(F.col("seq"), F.col("whole"))).select("qid", "id")
+
+
+def _living(index: ClassIndex, rows: DataFrame) -> DataFrame:
+    return rows if index.dead is None else rows.join(index.dead, "id", "left_anti")
+
+
 def class_index_query(index: ClassIndex, queries: DataFrame, k: int = 10, counters: bool = False) -> DataFrame:
-    """Top-k of each query: own residual and donor's, raw lists measured, graphs searched, merged without loss.
+    """Top-k of each query (qid, pattern, qvec, k, ef), whatever its pattern's length.
 
-    Items inserted since the build are measured as one raw list, deleted ones are taken out before the cut.
-    The empty pattern asks for all items. Patterns longer than the cap go to ``long_pattern_query``.
+    Up to the cap: own residual and donor's, raw lists measured, graphs searched, merged without loss. Longer: items
+    of the rarest window, verified. The empty pattern asks for all items. Deleted and replaced rows are taken out
+    before any cut, rows inserted since the build are scanned. ``counters``: (qid, distances) measured instead.
     """
     short = queries.where((F.char_length("pattern") <= index.cap) & (F.col("pattern") != ""))
-    wanted = sources(index, short)
+    wanted = staged(sources(index, short))
     raw = wanted.where("kind = 'raw'").select("state", "qid").join(index.residuals, "state").select("qid", "id")
-    everything = queries.where("pattern = ''").select("qid").crossJoin(index.corpus.select("id"))
-    near = measured(raw.union(everything), index.corpus, queries).withColumn("distances", F.lit(1).cast("long"))
+    pairs = _living(index, raw.union(long_matches(index, queries)))
+    found = None
     if index.edges is not None:
-        found = search_graphs(index.edges, index.residuals, index.corpus, wanted.where("kind = 'graph'"), index.shards)
-        # counters belong to a search; they are carried by its first row only when summed with max
-        near = near.unionByName(found.select("qid", "id", "dist", "distances"))
+        graphs = wanted.where("kind = 'graph'")
+        if index.dead is not None:
+            graphs = graphs.withColumn("ef", F.col("ef") + F.lit(index.dead.count()))
+        found = search_graphs(index.edges, index.residuals, index.corpus, graphs)
+    if counters:
+        work = pairs.groupBy("qid").agg(F.count(F.lit(1)).alias("distances"))
+        if found is not None:
+            work = work.unionByName(found.groupBy("qid", "state", "shard").agg(F.max("distances").alias("distances")).groupBy("qid").agg(F.sum("distances").alias("distances")))
+        return work.groupBy("qid").agg(F.sum("distances").alias("distances"))
+    near = nearest_of(pairs, index.corpus, queries, k)
+    if found is not None:
+        near = near.unionByName(_living(index, found.select("qid", "id", "dist")))
+    everything = queries.where("pattern = ''")
+    if not everything.isEmpty():
+        near = near.unionByName(of_all(_living(index, index.corpus), everything, k))
+    if index.delta is not None:
+        near = near.unionByName(matches_of(index.delta, queries, k))
+    return keep_nearest(near, k)
+
+
+def wildcard_query(index: ClassIndex, queries: DataFrame, k: int = 10) -> DataFrame:
+    """Top-k among items that match a motif in which "." is any one symbol, as in "C..C".
+
+    Candidates are the items of the rarest window of the motif's literal runs; a motif without one asks all items.
+    """
+    cap = index.cap
+    runs = F.filter(F.split("pattern", r"\."), lambda r: r != "")
+    cut = lambda r: F.transform(F.sequence(F.lit(1), F.greatest(F.char_length(r) - cap + 1, F.lit(1))), lambda i: F.substring(r, i, F.lit(cap)))
+    asked = queries.select("qid", F.col("pattern").alias("whole"), F.flatten(F.transform(runs, cut)).alias("windows"))
+    built = index.corpus.select("id", "seq")
+    fits = F.expr("seq rlike motif")
+    some = rarest_windows(index, asked.where(F.size("windows") > 0)).join(built, "id").withColumn("motif", wildcard_regex(F.col("whole"))).where(fits).select("qid", "id")
+    bare = asked.where(F.size("windows") == 0).select("qid", wildcard_regex(F.col("whole")).alias("motif"))
+    pairs = _living(index, some if bare.isEmpty() else some.union(built.join(bare, fits).select("qid", "id")))
+    near = nearest_of(pairs, index.corpus, queries, k)
     if index.delta is not None:
-        fresh = index.delta.join(short.select("qid", "pattern"), contains(F.col("seq"), F.col("pattern"))).select("qid", "id")
-        near = near.unionByName(measured(fresh, index.delta, queries).withColumn("distances", F.lit(1).cast("long")))
-    if index.gone is not None:
-        near = near.join(index.gone.select("id"), "id", "left_anti")
-    return near if counters else keep_nearest(near.select("qid", "id", "dist"), k)
+        fresh = index.delta.join(queries.select("qid", wildcard_regex(F.col("pattern")).alias("motif")), fits).select("qid", "id")
+        near = near.unionByName(nearest_of(fresh, index.delta, queries, k))
+    return keep_nearest(near, k)
 
 
 def long_pattern_query(index: ClassIndex, queries: DataFrame, k: int = 10) -> DataFrame:
-    """Patterns longer than the cap: items of the rarest window of the pattern, verified on the sequence."""
-    long = queries.where(F.char_length("pattern") > index.cap).select("qid", "pattern", "qvec")
-    windows = long.select("qid", F.col("pattern").alias("whole"), F.explode(F.transform(F.sequence(F.lit(1), F.char_length("pattern") - index.cap + 1), lambda i: F.substring("pattern", i, F.lit(index.cap)))).alias("pattern"))
-    known = windows.join(index.routes.select("pattern", "state", "n_ids"), "pattern", "left")
-    rare = known.groupBy("qid", "whole").agg(F.min_by("state", F.coalesce("n_ids", F.lit(0))).alias("state"), F.max(F.col("state").isNull().cast("int")).alias("absent")).where("absent = 0")
-    ids = rare.join(index.postings, "state").select("qid", "whole", "id").join(index.corpus.select("id", "seq"), "id").where(contains(F.col("seq"), F.col("whole"))).select("qid", "id")
-    return keep_nearest(measured(ids, index.corpus, long), k)
+    """The part of ``class_index_query`` for patterns longer than the cap."""
+    return class_index_query(index, queries.where(F.char_length("pattern") > index.cap), k)
 
 
 def insert_batch(index: ClassIndex, rows: DataFrame) -> ClassIndex:
-    """Rows (id, vec, seq) become a delta segment that queries read beside the built one."""
-    rows = staged(rows)
-    return ClassIndex(**{**index.__dict__, "delta": rows if index.delta is None else index.delta.unionByName(rows), "gone": None if index.gone is None else index.gone.join(rows.select("id"), "id", "left_anti")})
+    """Rows (id, vec, seq) become the present version of their ids: a delta that queries read beside the built index."""
+    good, _ = valid(rows)
+    fresh = staged(good.dropDuplicates(["id"]))
+    ids = fresh.select("id")
+    return replace(index, delta=fresh if index.delta is None else staged(index.delta.join(ids, "id", "left_anti").unionByName(fresh)), dead=_more_dead(index, ids))
 
 
 def delete_batch(index: ClassIndex, ids: DataFrame) -> ClassIndex:
-    """Ids are marked; queries take them out before they cut to k."""
+    """Ids are marked: their built version is dead, and they leave the delta."""
     ids = staged(ids.select("id").distinct())
-    return ClassIndex(**{**index.__dict__, "gone": ids if index.gone is None else index.gone.union(ids).distinct()})
+    return replace(index, delta=None if index.delta is None else staged(index.delta.join(ids, "id", "left_anti")), dead=_more_dead(index, ids))
+
+
+def _more_dead(index: ClassIndex, ids: DataFrame) -> DataFrame:
+    """Of the built ids only, so that the table is no larger than need be."""
+    built = index.corpus.select("id").join(ids, "id", "left_semi")
+    return staged(built if index.dead is None else index.dead.union(built).distinct())
 
 
 def compact(index: ClassIndex, **how) -> ClassIndex:
     """Rebuild over what is left."""
-    rows = index.corpus if index.delta is None else index.corpus.unionByName(index.delta)
-    if index.gone is not None:
-        rows = rows.join(index.gone, "id", "left_anti")
-    return build_class_index(staged(rows), index.cap, shards=index.shards, **how)
+    rows = _living(index, index.corpus)
+    rows = rows if index.delta is None else rows.unionByName(index.delta)
+    return build_class_index(staged(rows), index.cap, **{"shards": index.shards, **how})
+
+

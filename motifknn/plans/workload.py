@@ -13,17 +13,6 @@ from motifknn.functions.patterns import ends
 from motifknn.functions.vectors import query_vector
 from motifknn.sources.tables import table
 
-VOCABULARY = 8000
-
-
-def _prefix(n: int):
-    def build(spark: SparkSession, d: str) -> DataFrame:
-        docs = table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.substring("text", 1, n).alias("seq"))
-        return docs.join(table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec")), "id")
-
-    return build, f"SELECT d.doc_id AS id, substring(d.text, 1, {n}) AS seq, e.embedding AS vec FROM documents d JOIN embeddings e ON e.vec_id = d.doc_id"
-
-
 def _with_vectors(items: DataFrame, spark: SparkSession, d: str) -> DataFrame:
     """Vectors are dealt to items by id modulo their number (one scalar from the table's statistics)."""
     vectors = table(spark, d, "embeddings")
@@ -34,26 +23,45 @@ def _with_vectors(items: DataFrame, spark: SparkSession, d: str) -> DataFrame:
 _DEAL = "SELECT i.id, i.seq, e.embedding AS vec FROM ({}) i JOIN embeddings e ON e.vec_id = i.id % (SELECT count(*) FROM embeddings)"
 
 
-def _vocab(spark: SparkSession, d: str) -> DataFrame:
-    words = table(spark, d, "documents").select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("seq")).distinct()
-    first = words.orderBy("seq").limit(VOCABULARY)
+def _hash_id(seq):
+    return F.conv(F.substring(F.md5(seq), 1, 15), 16, 10).cast("long")
+
+
+def _document(spark: SparkSession, d: str) -> DataFrame:
+    docs = table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("text").alias("seq"))
+    return docs.join(table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec")), "id").select("id", "seq", "vec")
 
 
-    return _with_vectors(first.select((F.row_number().over(Window.orderBy("seq")) - 1).cast("long").alias("id"), "seq"), spark, d)
+def _passage(spark: SparkSession, d: str) -> DataFrame:
+    return _with_vectors(table(spark, d, "benchmark").select(F.col("item_id").cast("long").alias("id"), F.col("text").alias("seq")), spark, d)
+
+
+def _vocab(spark: SparkSession, d: str) -> DataFrame:
+    words = table(spark, d, "documents").select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("seq")).distinct()
+    return _with_vectors(words.select(_hash_id("seq").alias("id"), "seq"), spark, d)
 
 
 def _pname(spark: SparkSession, d: str) -> DataFrame:
     return _with_vectors(table(spark, d, "part").select(F.col("p_partkey").alias("id"), F.col("p_name").alias("seq")), spark, d)
 
 
-def _conv70(spark: SparkSession, d: str) -> DataFrame:
-    return _with_vectors(table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.substring("text", 1, 70).alias("seq")), spark, d)
+def _turn(spark: SparkSession, d: str) -> DataFrame:
+    return _with_vectors(table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.col("text").alias("seq")), spark, d)
+
+
+def _line(spark: SparkSession, d: str) -> DataFrame:
+    lines = table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("t"), F.posexplode(F.split("text", "\n")).alias("n", "seq")).where("seq != ''")
+    return _with_vectors(lines.select((F.col("t") * 10000 + F.col("n")).alias("id"), "seq"), spark, d)
 
 
 def _urlpath(spark: SparkSession, d: str) -> DataFrame:
     return _with_vectors(table(spark, d, "pages").select(F.col("page_id").alias("id"), F.regexp_replace("url", "^[a-z]+://[^/]*", "").alias("seq")), spark, d)
 
 
+def _url(spark: SparkSession, d: str) -> DataFrame:
+    return _with_vectors(table(spark, d, "pages").select(F.col("page_id").alias("id"), F.col("url").alias("seq")), spark, d)
+
+
 _ITEM_KEY = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "CAST(round(l_quantity * 100) AS BIGINT)", "CAST(round(l_extendedprice * 100) AS BIGINT)"]
 
 
@@ -90,18 +98,17 @@ def _user_events(spark: SparkSession, d: str) -> DataFrame:
 
 _EVENTS_SQL = "SELECT CAST(user_id AS BIGINT) AS id, string_agg(substring(event_type, 1, 1), '' ORDER BY ts, event_id) AS seq, [count(*) / 100.0::DOUBLE, avg(value) / 100.0::DOUBLE] AS vec FROM events GROUP BY user_id"
 
-_b28, _s28 = _prefix(28)
-_b64, _s64 = _prefix(64)
-_b255, _s255 = _prefix(255)
-#: name -> (builder, SQL, dimension)
+_HASH = "CAST('0x' || substring(md5(seq), 1, 15) AS BIGINT)"
+#: name -> (builder, SQL, dimension); every sequence is a whole text, line, word, name or address.
 CORPORA = {
-    "title28": (_b28, _s28, 64),
-    "title64": (_b64, _s64, 64),
-    "body255": (_b255, _s255, 64),
-    "vocab": (_vocab, _DEAL.format(f"SELECT row_number() OVER (ORDER BY seq) - 1 AS id, seq FROM (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS seq FROM documents ORDER BY seq LIMIT {VOCABULARY})"), 64),
+    "passage": (_passage, _DEAL.format("SELECT CAST(item_id AS BIGINT) AS id, text AS seq FROM benchmark"), 64),
+    "document": (_document, "SELECT d.doc_id AS id, d.text AS seq, e.embedding AS vec FROM documents d JOIN embeddings e ON e.vec_id = d.doc_id", 64),
+    "vocab": (_vocab, _DEAL.format(f"SELECT {_HASH} AS id, seq FROM (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS seq FROM documents)"), 64),
+    "turn": (_turn, _DEAL.format("SELECT conv_id * 1000 + turn AS id, text AS seq FROM conversations"), 64),
+    "line": (_line, _DEAL.format("SELECT t * 10000 + n AS id, seq FROM (SELECT conv_id * 1000 + turn AS t, generate_subscripts(string_split(text, chr(10)), 1) - 1 AS n, unnest(string_split(text, chr(10))) AS seq FROM conversations) WHERE seq != ''"), 64),
     "pname": (_pname, _DEAL.format("SELECT p_partkey AS id, p_name AS seq FROM part"), 64),
-    "conv70": (_conv70, _DEAL.format("SELECT conv_id * 1000 + turn AS id, substring(text, 1, 70) AS seq FROM conversations"), 64),
     "urlpath": (_urlpath, _DEAL.format("SELECT page_id AS id, regexp_replace(url, '^[a-z]+://[^/]*', '') AS seq FROM pages"), 64),
+    "url": (_url, _DEAL.format("SELECT page_id AS id, url AS seq FROM pages"), 64),
     "items": (_items, _ITEMS_SQL, 4),
     "orders_seq": (_orders_seq, _ORDERS_SQL, 4),
     "user_events": (_user_events, _EVENTS_SQL, 2),
