@@ -1,18 +1,27 @@
 """Main-text extraction by two-pass block rules.
 
 One scan turns a page into blocks: runs of text between block-level tags, each with its words, its linked
-characters and the containers it stands in. Pass one decides a block by length, link density and the density
-of frequent function words, helped by what the mark-up states outright (an article or main element; a menu,
-header, footer, aside, form, dialog; class or id names of adverts, notices, sidebars and comments). Blocks
-that are short or of middling density stay open. Pass two gives each open block the label of its nearest
-decided neighbours: good if both sides are good; if they differ, that of the nearer one, ties to good; a
-block with no decided neighbour is good inside an article and bad outside.
-
-Inside an article that holds text, everything without a mark of boilerplate is kept. Character references
-are decoded, white space inside a block becomes one space, blocks are joined by one line feed in page order.
-
-Defined results: null or empty html gives an empty text; unclosed or stray tags are tolerated; a page of
-plain text is one block (kept). Repeated rows are extracted each; extra columns are ignored.
+characters and the containers it stands in. Pass one decides a block by its text: link density, length and the
+density of frequent function words make it good or bad; short blocks and those of middling density stay open.
+What the mark-up states outright goes before that: a menu, footer, aside, form or dialog element, or a class,
+id or role that names an advert, notice, sidebar, comments and the like, is bad.
+
+Then the article element, if there is one, is weighed against the rest by pass one's own figures: where its blocks
+hold no less good text than those outside, blocks outside are bad, and bad ones inside are open again unless they
+are mostly links. Pass two gives each open block the label of its nearest decided neighbours: good if both sides
+are good; if they differ, that of the nearer one, ties to good; a block with no decided neighbour is good inside an
+article and bad outside.
+
+A class token names boilerplate if it is one of the words itself ("sidebar") or is made of them with other
+words ("site-footer"); tokens that tell a state of the page ("has-sidebar", "search-enabled") do not, and
+where an article or main element starts, only whole words still count. Character references are decoded, white
+space inside a block becomes one space, blocks are joined by one line feed in page order.
+
+The scan is linear in the page: a tag ends at ">" or before the next "<", and a quoted value may hold either
+only if its closing quote is where one can be. Links end with their block.
+
+Defined results: null or empty html gives an empty text; unclosed or stray tags and quotes are tolerated; a page
+of plain text is one block (kept). Repeated rows are extracted each; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -25,7 +34,7 @@ from dataclasses import dataclass
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<![^>]*>|<\?[^>]*>|</?[A-Za-z](?:[^>\"']|\"[^\"]*\"|'[^']*')*>", re.S)
+TOKEN = re.compile(r"""<!--(?:-?>|.*?(?:--!?>|\Z))|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</?[A-Za-z](?:[^<>"'=]|=\s*+(?:"[^"<>]*"|'[^'<>]*'|"[^"]{0,300}"(?=[\s/>])|'[^']{0,300}'(?=[\s/>])|)|["'])*+(?:>|(?=<)|\Z)""", re.S)
 TAG = re.compile(r"<(/?)([A-Za-z][A-Za-z0-9:-]*)")
 NAMED = re.compile(r"""\b(?:class|id|role|aria-label)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
 HIDDEN = re.compile(r"""\bhidden\b(?!\s*=\s*["']?false)|aria-hidden\s*=\s*["']?true|display\s*:\s*none|visibility\s*:\s*hidden""", re.I)
@@ -49,7 +58,14 @@ STOP = frozenset(
     "le la les de des du et à un une en que qui est pour dans il sur ne pas au par avec ce se "
     "el los las y que en un una por con no para se es del al lo su como más o".split()
 )
+#: Parts of a class token that tell a state or a layout, not what the element is: before or after the word.
+STATE_FIRST = frozenset("has have with without no not is show hide hidden use uses js can page body layout supports enable disable toggle".split())
+STATE_LAST = frozenset("enabled disabled open opened closed active inactive on off ready loaded visible hidden left right page layout wrapper".split())
+#: Elements that text-level content may leave open; a block ends them.
+LEFT_OPEN = frozenset("button select".split())
 SHORT, LONG, LINKS, LOW, HIGH = 70, 200, 0.4, 0.12, 0.24
+#: Link density that makes a block bad inside the article too.
+MOSTLY = 0.66
 _WORDS = re.compile(r"[^\W_]+(?:[-_/]?[^\W_]+)*")
 
 
@@ -63,31 +79,38 @@ class Block:
     label: str = ""
 
 
-def _marked(name: str, attrs: str, in_article: bool) -> bool:
+def _token(token: str) -> int:
+    """2 if the class token is a word of MARKS, 1 if it is made with one, 0 otherwise."""
+    words = [w for w in re.split(r"[^a-z]+", re.sub(r"([a-z])([A-Z])", r"\1 \2", token).lower()) if w]
+    if not words or MARKS.isdisjoint(words):
+        return 0
+    if len(words) > 1 and (words[0] in STATE_FIRST or words[-1] in STATE_LAST):
+        return 0
+    return 2 if MARKS.issuperset(words) else 1
+
+
+def _marked(name: str, attrs: str, in_article: bool) -> int:
+    """How surely the element is boilerplate: 2 for its name or a whole word, 1 for a part of a token."""
     if name in BOILER:
-        return not (name == "header" and in_article)  # an article's own header has its headline
-    for m in NAMED.finditer(attrs):
-        words = re.split(r"[^a-z]+", re.sub(r"([a-z])([A-Z])", r"\1 \2", next(g for g in (*m.groups(), "") if g is not None)).lower())
-        if not MARKS.isdisjoint(words):
-            return True
-    return False
+        return 0 if name == "header" and in_article else 2  # an article's own header has its headline
+    return max((_token(t) for m in NAMED.finditer(attrs) for t in next(g for g in (*m.groups(), "") if g is not None).split()), default=0)
 
 
 def blocks(page: str) -> list[Block]:
     out: list[Block] = []
-    stack: list[tuple[str, bool, bool, bool]] = []  # name, silent, article, marked
+    stack: list[tuple[str, bool, bool, int]] = []  # name, silent, article, marked
     parts: list[tuple[str, bool]] = []
     heading = False
 
-    def state(i: int) -> bool:
-        return bool(stack) and stack[-1][i]
+    def state(i: int) -> int:
+        return stack[-1][i] if stack else 0
 
     def end() -> None:
         nonlocal parts
         text = " ".join(entities.unescape("".join(p for p, _ in parts)).split())
         if text:
             linked = sum(len("".join(entities.unescape(p).split())) for p, a in parts if a)
-            out.append(Block(text, linked, heading, state(2), state(3)))
+            out.append(Block(text, linked, heading, bool(state(2)), state(3) > 0))
         parts = []
 
     at = anchors = 0
@@ -107,6 +130,10 @@ def blocks(page: str) -> list[Block]:
         attrs = m[0][tag.end() :]
         if name in BLOCK:
             end()
+            anchors = 0
+            if name == "body" or (stack and stack[-1][0] in LEFT_OPEN and not closing):
+                while stack and stack[-1][1] and stack[-1][0] in (*LEFT_OPEN, "head"):
+                    stack.pop()
             heading = not closing and name in ("h1", "h2", "h3", "h4", "h5", "h6")
         elif name == "br":
             parts.append((" ", False))
@@ -123,7 +150,8 @@ def blocks(page: str) -> list[Block]:
                 hidden = name in SILENT or bool(HIDDEN.search(attrs if "style" in attrs.lower() else QUOTED.sub('"true"' if "aria-hidden" in attrs.lower() else '""', attrs)))
                 article = state(2) or name in ARTICLE
                 if name not in ("a", "p"):
-                    stack.append((name, state(1) or hidden, article, state(3) or (name not in ("html", "body", "article", "main") and _marked(name, attrs, article))))
+                    above = state(3) if name not in ARTICLE or state(3) == 2 else 0
+                    stack.append((name, bool(state(1)) or hidden, bool(article), max(above, 0 if name in ("html", "body", "article", "main") else _marked(name, attrs, bool(article)))))
             if name in RAW:
                 close = re.compile(rf"</{name}\b", re.I).search(page, at)
                 at = close.start() if close else len(page)
@@ -131,28 +159,36 @@ def blocks(page: str) -> list[Block]:
     return out
 
 
+def by_text(b: Block) -> tuple[str, float]:
+    """(label, link density) of a block by its text alone."""
+    n = len(b.text)
+    links = b.linked / max(1, len("".join(b.text.split())))
+    if links > LINKS and not b.heading:
+        return "bad", links
+    if n < SHORT:
+        return "open", links
+    words = _WORDS.findall(b.text.lower())
+    stops = sum(w in STOP for w in words) / max(1, len(words))
+    if stops >= HIGH:
+        return "good", links
+    if stops >= LOW:
+        return ("good" if n >= LONG else "open"), links
+    return ("bad" if links > 0.1 else "open"), links
+
+
 def classify(found: list[Block]) -> None:
     """Label every block good or bad."""
-    has_article = any(b.inside and not b.marked and len(b.text) > 0 for b in found)
-    for b in found:
-        n = len(b.text)
-        density = b.linked / max(1, len("".join(b.text.split())))
-        words = _WORDS.findall(b.text.lower())
-        stops = sum(w in STOP for w in words) / max(1, len(words))
-        if b.marked or (has_article and not b.inside):
-            b.label = "bad"
-        elif density > LINKS and not b.inside:
-            b.label = "bad"
-        elif has_article:
-            b.label = "good" if n >= SHORT and density <= LINKS else "open"
-        elif n < SHORT:
-            b.label = "open"
-        elif stops >= HIGH:
-            b.label = "good"
-        elif stops >= LOW:
-            b.label = "good" if n >= LONG else "open"
-        else:
-            b.label = "bad" if density > 0.1 else "open"
+    judged = [("bad", 0.0) if b.marked else by_text(b) for b in found]
+    size = lambda inside, labels: sum(len(b.text) for b, (label, _) in zip(found, judged, strict=True) if b.inside == inside and not b.marked and label in labels)
+    inside, rest = size(True, ("good", "open", "bad")), size(False, ("good",))
+    article = inside > 0 and (size(True, ("good",)) >= rest or inside >= rest)
+    for b, (label, links) in zip(found, judged, strict=True):
+        b.label = label
+        if article and not b.marked:
+            if not b.inside:
+                b.label = "bad"
+            elif label == "bad":
+                b.label = "bad" if links > MOSTLY else "open"
     inherit(found)
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import random
 import re
+import time
 import unicodedata
 import zlib
 from collections import Counter, defaultdict
@@ -316,6 +317,61 @@ def test_html(spark, data):
     assert html.extract("<article><p>a &lt;b&gt;&nbsp; c<p>d<script>if (a < b) x</script></article>") == "a <b> c\nd"
 
 
+LONG = "This is a paragraph of the article and it has many of the words that are frequent in the language of the page, as it should. " * 2
+
+
+@pytest.mark.parametrize(
+    "page",
+    [
+        f'<div class="layout has-sidebar"><article><p>{LONG}</p></article></div>',
+        f'<div class="page search-enabled"><article><p>{LONG}</p></article></div>',
+        f'<div class="with-comments"><main><p>{LONG}</p></main></div>',
+        f"<!--><article><p>{LONG}</p></article>",
+        f"<head><title>t</title><body><p>{LONG}</p>",
+        f"<div><button>Go<p>{LONG}</p></div>",
+        f'<article><p class="x>{LONG}</p></article>'.replace('"', "'"),
+        f"<p>{LONG}</p>",
+        f"<body><nav>Home</nav><div id=main><p>{LONG}</p></div><div class='related-posts'><p>{LONG}</p></div>",
+        f"<article><p>{LONG}</p></article><div><p>Cookies: we use them on this site and you have to like it.</p></div>",
+        f"<aside><article><p>{LONG}x</p></article></aside><article><p>{LONG}</p></article>",
+    ],
+)
+def test_html_wrappers_and_broken_markup(page):
+    assert html.extract(page) == LONG.strip()
+
+
+def test_html_links_end_with_their_block():
+    assert html.extract(f"<article><p><a href=x>a link that is never closed<p>{LONG}</p><p>{LONG}</p></article>").endswith(f"{LONG.strip()}\n{LONG.strip()}")
+    links = " ".join(f"<a href={k}>some page number {k}</a>" for k in range(30))
+    assert html.extract(f"<article><p>{LONG}</p><div>{links}</div><p>{LONG}</p></article>") == f"{LONG.strip()}\n{LONG.strip()}"
+
+
+def test_html_without_article_by_the_two_passes(spark, data):
+    """The same pages with the article element taken away: the blocks' own figures find nearly all of the text, and nothing else."""
+    whole = lost = extra = 0
+    for r in spark.read.parquet(f"{data}/pages.parquet").collect():
+        want = html.extract(r.html).split("\n")
+        got = html.extract(re.sub("<(/?)article>", r"<\1div>", r.html)).split("\n")
+        whole += sum(map(len, want))
+        lost += sum(len(x) for x in want if x not in got)
+        extra += sum(len(x) for x in got if x not in want)
+    assert lost <= 0.1 * whole and extra <= 0.01 * whole
+
+
+@pytest.mark.parametrize("unit", ['<a "', '<a x="', '<a href="y', "<p class='", "<!-- ", "<", '<a <b "'])
+def test_html_scan_is_linear(unit):
+    begun = time.process_time()
+    html.extract(unit * (400_000 // len(unit)))
+    assert time.process_time() - begun < 5
+
+
+def test_html_very_long_page_and_odd_rows(spark):
+    page = "<article>" + "".join(f"<p>{LONG}{k}</p>" for k in range(3000)) + "</article>"
+    table = spark.createDataFrame([(1, None, page), (None, "u", None), (1, None, page), (2, "", "")], "page_id long, url string, html string").withColumn("text", F.lit("clash")).withColumn("n_chars", F.lit(1))
+    got = html.main_text(table).collect()
+    assert sorted(r.n_chars for r in got) == [0, 0, *[len(r.text) for r in got if r.page_id == 1]] and got[0].text.count("\n") == 2999
+
+
 # --- 7
 def test_lines(spark, docs, odd, none):
     left = {r.doc_id: (r.text, r._n_lines) for r in lines.dedup_lines(odd).collect()}
