@@ -17,24 +17,24 @@ def l2_to_constant(v: pd.Series, c: pd.Series) -> pd.Series:
 
 
 @F.pandas_udf("string")
-def least_three(ids: pd.Series) -> str:
-    return ",".join(str(x) for x in heapq.nsmallest(3, ids.tolist()))
+def nearest_three(ids: pd.Series, dist: pd.Series) -> str:
+    return ",".join(str(i) for _, i in heapq.nsmallest(3, zip(dist.tolist(), ids.tolist(), strict=True)))
 
 
-@F.udtf(returnType="id long, score long")
-class TopMatches:
-    """Of each shard of TABLE(doc_id, text, shard): the three rows with the most characters in occurrences of 'the'."""
+@F.udtf(returnType="id long, dist double")
+class NearestMatches:
+    """Of each shard of TABLE(id, seq, embedding, shard): the three items nearest to a vector among those that have a pattern."""
 
     def __init__(self) -> None:
-        self.best: list[tuple[int, int]] = []
+        self.best: list[tuple[float, int]] = []
 
-    def eval(self, row) -> None:  # noqa: ANN001
-        n = 3 * (row["text"] or "").count("the")
-        if n:
-            heapq.heappush(self.best, (n, -row["doc_id"]))
+    def eval(self, row, pattern, vector) -> None:  # noqa: ANN001
+        if pattern in (row["seq"] or ""):
+            d = sum((float(a) - b) ** 2 for a, b in zip(row["embedding"], vector, strict=True))
+            heapq.heappush(self.best, (-round(d, 4), -row["id"]))
             if len(self.best) > 3:
                 heapq.heappop(self.best)
 
     def terminate(self):  # noqa: ANN201
-        for n, i in self.best:
-            yield -i, n
+        for d, i in self.best:
+            yield -i, -d

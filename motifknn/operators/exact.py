@@ -19,7 +19,7 @@ from motifknn.functions.vectors import distance
 
 BATCH_BYTES = 64 << 20
 #: As many patterns are tested in one projection.
-MOST_TESTS = 2000
+MOST_TESTS = 500
 DIGITS = 4
 #: Pairs of a row and a query measured at once.
 AT_ONCE = 1 << 16
@@ -111,9 +111,8 @@ def passing(corpus: DataFrame, queries: DataFrame) -> DataFrame | None:
     asked = queries.select("qid", "pattern").limit(MOST_TESTS + 1).collect()
     if not asked or len(asked) > MOST_TESTS:
         return None
-    tests = F.array(*[F.struct(F.lit(r["qid"]).cast("long").alias("qid"), F.lit(r["pattern"]).alias("pattern")) for r in asked])
-    hits = F.transform(F.filter(tests, lambda t: contains(F.col("seq"), t["pattern"])), lambda t: t["qid"])
-    return corpus.select("id", "vec", hits.alias("qids")).where(F.size("qids") > 0)
+    tests = [F.when(contains(F.col("seq"), F.lit(r["pattern"])), F.lit(r["qid"]).cast("long")) for r in asked]
+    return corpus.select("id", "vec", F.array_compact(F.array(*tests)).alias("qids")).where(F.size("qids") > 0)
 
 
 def matches_of(corpus: DataFrame, queries: DataFrame, k: int = 10, metric: str = "l2sq") -> DataFrame:
@@ -135,8 +134,8 @@ def of_all(corpus: DataFrame, queries: DataFrame, k: int, metric: str = "l2sq")
     batch = batch_of(queries)
     if batch is None:
         return corpus.crossJoin(queries.select("qid", "qvec")).select("qid", "id", distance(F.col("vec"), F.col("qvec"), metric).alias("dist"))
-    every = F.array(*[F.lit(int(x)) for x in batch[0]]) if len(batch[0]) <= MOST_TESTS else F.lit(batch[0].tolist())
-    return nearest(corpus.withColumn("qids", every.cast("array<bigint>")), queries, batch, k, metric)
+    every = F.from_json(F.lit(str(batch[0].tolist())), "array<bigint>")  # one literal, however many
+    return nearest(corpus.withColumn("qids", every), queries, batch, k, metric)
 
 
 def filtered_topk(corpus: DataFrame, queries: DataFrame, predicate: Column, k: int = 10) -> DataFrame:

@@ -11,7 +11,10 @@ from pyspark.sql import functions as F
 
 from motifknn.functions.patterns import like_escaped
 from motifknn.functions.vectors import cosine_distance, dot, l2sq, norm
-from motifknn.plans.staging import shared_folder
+from motifknn.operators import classes as C
+from motifknn.operators.index import class_tables
+from motifknn.plans.staging import shared_folder, staged
+from motifknn.plans.workload import CORPORA, corpus
 from motifknn.sources.tables import SCHEMAS, table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -91,18 +94,20 @@ def _noop(spark, d):
     return spark.createDataFrame([(timed(table(spark, d, "part")) >= 0,)], "ran boolean")
 
 
-@op("op_source_patternindex", "SELECT doc_id AS id, substring(text, 1, 28) AS seq FROM documents WHERE contains(substring(text, 1, 28), 'the')")
+@op("op_source_patternindex", "SELECT doc_id AS id, text AS seq FROM documents WHERE contains(text, 'xq')")
 def _source(spark, d):
+    """The filter on the sequence is pushed to the source, which rules shards out by it."""
     from motifknn.sources.patternindex import PatternIndexSource, write_pattern_index
 
     path = f"{shared_folder(spark)}/pidx-{uuid.uuid4().hex}"
-    write_pattern_index(table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.substring("text", 1, 28).alias("seq")), path, 4)
+    write_pattern_index(table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("text").alias("seq")), path, 4)
     spark.dataSource.register(PatternIndexSource)
-    return spark.read.format("patternindex").option("pattern", "the").load(path).where(F.contains("seq", F.lit("the")))
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    return spark.read.format("patternindex").load(path).where(F.contains("seq", F.lit("xq")))
 
 
 # --- projection and filters
-plain("op_project_pairs", "SELECT doc_id AS id, substring(text, 1, 28) AS seq, CAST(n_chars AS DOUBLE) AS n FROM {documents}")
+plain("op_project_pairs", "SELECT doc_id AS id, text AS seq, CAST(n_chars AS DOUBLE) AS n FROM {documents}")
 plain("op_filter_contains", "SELECT doc_id FROM {documents} WHERE contains(text, 'ation')")
 plain("op_filter_prefix_suffix", "SELECT doc_id, startswith(text, 'The') AS a, endswith(text, '.') AS b FROM {documents}", "SELECT doc_id, starts_with(text, 'The') AS a, ends_with(text, '.') AS b FROM documents")
 
@@ -114,7 +119,11 @@ def _like(spark, d):
 
 plain("op_filter_ilike", "SELECT p_partkey FROM {part} WHERE p_name ILIKE '%A%B%'")
 plain("op_filter_rlike_motif", "SELECT p_partkey FROM {part} WHERE rlike(p_name, 'a..e')", "SELECT p_partkey FROM part WHERE regexp_matches(p_name, 'a..e')")
-plain("op_filter_in_between", "SELECT vec_id FROM {embeddings} JOIN {documents} ON doc_id = vec_id WHERE label IN (1, 2) AND n_chars BETWEEN 300 AND 900")
+@op("op_filter_in_between", "SELECT vec_id AS id, round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE) - 0.1) * (CAST(x AS DOUBLE) - 0.1))), 4) AS dist FROM embeddings JOIN documents ON doc_id = vec_id WHERE label IN (1, 2) AND n_chars BETWEEN 300 AND 900 ORDER BY dist, id LIMIT 10")
+def _in_between(spark, d):
+    """The nearest under a set and a range predicate."""
+    rows = table(spark, d, "embeddings").where("label IN (1, 2)").join(table(spark, d, "documents").where("n_chars BETWEEN 300 AND 900").select("doc_id"), F.col("doc_id") == F.col("vec_id"))
+    return rows.select(F.col("vec_id").alias("id"), F.round(l2sq(F.col("embedding"), F.array_repeat(F.lit(0.1), 64)), 4).alias("dist")).orderBy("dist", "id").limit(10)
 plain("op_filter_nullsafe", "SELECT d.doc_id, coalesce(l.quality, -1) AS q, nullif(l.toxic, 0) AS t, l.toxic IS NOT DISTINCT FROM NULL AS unknown FROM {documents} d LEFT JOIN {labels} l ON l.doc_id = d.doc_id")
 
 
@@ -134,7 +143,7 @@ def _hinted(hint: str):
 
 for _h in ("merge", "shuffle_hash"):
     op({"merge": "op_join_sortmerge", "shuffle_hash": "op_join_shufflehash"}[_h], "SELECT o_orderpriority, round(sum(l_quantity), 2) AS qty FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")(_hinted(_h))
-plain("op_join_nestedloop", "SELECT b.item_id, count(*) AS n FROM (SELECT item_id, substring(text, 1, 12) AS p FROM {benchmark}) b JOIN {documents} d ON contains(d.text, b.p) GROUP BY b.item_id")
+plain("op_join_nestedloop", "SELECT b.item_id, count(*) AS n FROM {benchmark} b JOIN {documents} d ON contains(d.text, b.text) GROUP BY b.item_id")
 
 
 @op("op_join_range", "SELECT a.doc_id AS a, b.doc_id AS b FROM documents a JOIN documents b ON b.n_chars BETWEEN a.n_chars + 1 AND a.n_chars + 5 WHERE a.lang = 'es' AND b.lang = 'fr'")
@@ -162,7 +171,7 @@ plain("op_join_semi", "SELECT doc_id FROM {documents} d LEFT SEMI JOIN {labels}
 plain("op_join_anti", "SELECT doc_id FROM {documents} d LEFT ANTI JOIN {labels} l ON l.doc_id = d.doc_id", "SELECT doc_id FROM documents ANTI JOIN labels USING (doc_id)")
 plain("op_join_cross", "SELECT a.r_name AS a, b.r_name AS b FROM {region} a CROSS JOIN {region} b")
 plain("op_join_self", "SELECT a.n_name AS a, b.n_name AS b FROM {nation} a JOIN {nation} b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
-plain("op_join_lateral", "SELECT r.r_name, x.n_name FROM {region} r, LATERAL (SELECT n.n_name FROM {nation} n WHERE n.n_regionkey = r.r_regionkey ORDER BY n.n_name LIMIT 2) x")
+plain("op_join_lateral", "SELECT b.item_id, x.doc_id, x.n_chars FROM {benchmark} b, LATERAL (SELECT d.doc_id, d.n_chars FROM {documents} d WHERE contains(d.text, b.text) ORDER BY d.n_chars, d.doc_id LIMIT 3) x")
 
 # --- aggregates
 plain("op_agg_hash", "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) AS s, round(avg(l_extendedprice), 4) AS a, min(l_tax + 0.0) AS lo, max(l_discount + 0.0) AS hi, count(*) AS n FROM {lineitem} GROUP BY 1, 2")
@@ -231,15 +240,15 @@ _SETS = ("SELECT p_size % 20 AS x FROM {part} WHERE p_partkey % 2 = 0", "SELECT
 for _s in ("UNION", "UNION ALL", "INTERSECT", "INTERSECT ALL", "EXCEPT", "EXCEPT ALL"):
     plain("op_set_" + _s.lower().replace(" ", "_"), f"{_SETS[0]} {_s} {_SETS[1]}")
 for _k, _p in (("and", "contains(seq, 'th') AND contains(seq, 'an')"), ("or", "contains(seq, 'th') OR contains(seq, 'ou')"), ("not", "contains(seq, 'th') AND NOT contains(seq, 'an')")):
-    op(f"op_pattern_{_k}", f"SELECT id, dist FROM (SELECT doc_id AS id, substring(text, 1, 28) AS seq, round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE) - 0.1) * (CAST(x AS DOUBLE) - 0.1))), 4) AS dist FROM documents JOIN embeddings ON vec_id = doc_id) WHERE {_p} ORDER BY dist, id LIMIT 10")(
-        lambda spark, d, p=_p: table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.substring("text", 1, 28).alias("seq")).where(p).join(table(spark, d, "embeddings"), F.col("vec_id") == F.col("id"))
+    op(f"op_pattern_{_k}", f"SELECT id, dist FROM (SELECT doc_id AS id, text AS seq, round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE) - 0.1) * (CAST(x AS DOUBLE) - 0.1))), 4) AS dist FROM documents JOIN embeddings ON vec_id = doc_id) WHERE {_p} ORDER BY dist, id LIMIT 10")(
+        lambda spark, d, p=_p: table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("text").alias("seq")).where(p).join(table(spark, d, "embeddings"), F.col("vec_id") == F.col("id"))
         .select("id", F.round(l2sq(F.col("embedding"), F.transform("embedding", lambda x: F.lit(0.1))), 4).alias("dist")).orderBy("dist", "id").limit(10)
     )
 
 # --- scalar functions
 plain("op_str_basic", "SELECT p_partkey, char_length(p_name) AS n, upper(p_name) AS u, substring(p_name, 2, 3) AS s, left(p_name, 2) AS l, right(p_name, 2) AS r, reverse(p_name) AS v, instr(p_name, 'a') AS i FROM {part}", "SELECT p_partkey, CAST(length(p_name) AS INT) AS n, upper(p_name) AS u, substring(p_name, 2, 3) AS s, left(p_name, 2) AS l, right(p_name, 2) AS r, reverse(p_name) AS v, CAST(instr(p_name, 'a') AS INT) AS i FROM part")
 plain("op_str_split", "SELECT p_partkey, split_part(p_name, ' ', 1) AS a, split_part(p_name, ' ', 2) AS b FROM {part}")
-plain("op_str_regex", "SELECT doc_id, regexp_replace(substring(text, 1, 60), '[aeiou]+', '_') AS r FROM {documents}", "SELECT doc_id, regexp_replace(substring(text, 1, 60), '[aeiou]+', '_', 'g') AS r FROM documents")
+plain("op_str_regex", "SELECT doc_id, regexp_replace(text, '[aeiou]+', '_') AS r FROM {documents}", "SELECT doc_id, regexp_replace(text, '[aeiou]+', '_', 'g') AS r FROM documents")
 plain("op_str_trim", "SELECT p_partkey, trim(concat('  ', p_brand, ' ')) AS t, translate(p_brand, 'abc', 'xyz') AS x FROM {part}")
 plain("op_str_pad", "SELECT p_partkey, lpad(p_brand, 12, '*') AS l, rpad(p_brand, 12, '-') AS r FROM {part}")
 plain("op_str_edit", "SELECT a.n_name AS a, b.n_name AS b, levenshtein(a.n_name, b.n_name) AS e FROM {nation} a JOIN {nation} b ON a.n_nationkey < b.n_nationkey WHERE levenshtein(a.n_name, b.n_name) <= 4", "SELECT a.n_name AS a, b.n_name AS b, CAST(levenshtein(a.n_name, b.n_name) AS INT) AS e FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey WHERE levenshtein(a.n_name, b.n_name) <= 4")
@@ -310,9 +319,22 @@ def _variant(spark, d):
 plain("op_sql_cte", "WITH big AS (SELECT * FROM {orders} WHERE o_totalprice > 250000), per AS (SELECT o_custkey, count(*) AS n FROM big GROUP BY o_custkey) SELECT n, count(*) AS customers FROM per GROUP BY n")
 
 
-@op("op_sql_recursive_walk", "WITH RECURSIVE t AS (SELECT 1 AS step, 'n' AS here UNION ALL SELECT step + 1, substring('nana', 1, step + 1) FROM t WHERE step < 4) SELECT step, here FROM t")
+_WALKED = "SELECT substring(seq, 1, 4) AS p FROM corpus WHERE length(seq) >= 4 ORDER BY id LIMIT 1"
+
+
+@op("op_sql_recursive_walk", f"WITH corpus AS ({CORPORA['urlpath'][1]}), w AS ({_WALKED}), s AS (SELECT unnest(range(1, 5)) AS step), q AS (SELECT step, substring(p, 1, step) AS q FROM w, s) SELECT CAST(step AS INT) AS step, (SELECT count(*) FROM corpus WHERE contains(seq, q)) AS n_ids FROM q UNION ALL SELECT 0, 0")
 def _recursive(spark, d):
-    return spark.sql("WITH RECURSIVE t(step, here) AS (SELECT 1, 'n' UNION ALL SELECT step + 1, substring('nana', 1, step + 1) FROM t WHERE step < 4) SELECT step, here FROM t")
+    """The walk over the index's transitions, symbol by symbol, as a recursive query; the state it reaches gives the number of items."""
+    c = corpus(spark, d, "urlpath")
+    _, found, routes, _ = class_tables(c, 4)
+    pattern = c.where("char_length(seq) >= 4").orderBy("id").select(F.substring("seq", 1, 4)).first()[0]
+    return spark.sql(
+        """WITH RECURSIVE walk(step, state) AS (
+             SELECT 0, CAST('' AS STRING) UNION ALL
+             SELECT w.step + 1, t.to_state FROM walk w JOIN {moves} t ON t.from_state = w.state AND t.symbol = substring(:p, w.step + 1, 1) WHERE w.step < 4)
+           SELECT step, coalesce(n_ids, 0) AS n_ids FROM walk LEFT JOIN {found} USING (state)""",
+        args={"p": pattern}, moves=staged(C.transitions(routes)), found=found.select("state", "n_ids"),
+    )
 
 
 @op("op_sql_params", "SELECT doc_id FROM documents WHERE contains(text, 'ation') AND n_chars > 1000")
@@ -342,22 +364,27 @@ def _udf(spark, d):
     return table(spark, d, "embeddings").select("vec_id", F.round(l2_to_constant("embedding", F.lit(0.1)), 4).alias("x"))
 
 
-@op("op_udaf_topk", "SELECT label, array_to_string(list(vec_id ORDER BY vec_id)[1:3], ',') AS ids FROM embeddings GROUP BY label")
+_NEAR = "round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE) - 0.1) * (CAST(x AS DOUBLE) - 0.1))), 4)"
+
+
+@op("op_udaf_topk", f"SELECT label, array_to_string(list(vec_id ORDER BY d, vec_id)[1:3], ',') AS ids FROM (SELECT vec_id, label, {_NEAR} AS d FROM embeddings) GROUP BY label")
 def _udaf(spark, d):
-    from motifknn.functions.udfs import least_three
+    from motifknn.functions.udfs import nearest_three
 
-    return table(spark, d, "embeddings").groupBy("label").agg(least_three("vec_id").alias("ids"))
+    rows = table(spark, d, "embeddings").select("label", "vec_id", F.round(l2sq(F.col("embedding"), F.array_repeat(F.lit(0.1), 64)), 4).alias("d"))
+    return rows.groupBy("label").agg(nearest_three("vec_id", "d").alias("ids"))
 
 
-@op("op_udtf_pattern_knn", "SELECT doc_id AS id, length(text) - length(replace(text, 'the', '')) AS score FROM documents WHERE contains(text, 'the') QUALIFY row_number() OVER (PARTITION BY doc_id % 4 ORDER BY score DESC, doc_id) <= 3")
+@op("op_udtf_pattern_knn", f"SELECT id, dist FROM (SELECT doc_id AS id, {_NEAR} AS dist FROM documents JOIN embeddings ON vec_id = doc_id WHERE contains(text, 'ing')) QUALIFY row_number() OVER (PARTITION BY id % 4 ORDER BY dist, id) <= 3")
 def _udtf(spark, d):
-    from motifknn.functions.udfs import TopMatches
-
-    name = f"top_{uuid.uuid4().hex[:8]}"
-    spark.udtf.register(name, TopMatches)
-    view = f"v_{uuid.uuid4().hex[:8]}"
-    table(spark, d, "documents").select("doc_id", "text", (F.col("doc_id") % 4).alias("shard")).createOrReplaceTempView(view)
-    return spark.sql(f"SELECT id, score FROM {name}(TABLE(SELECT doc_id, text, shard FROM {view}) PARTITION BY shard)")
+    """Of each shard the three nearest of the items that have the pattern."""
+    from motifknn.functions.udfs import NearestMatches
+
+    name, view = f"near_{uuid.uuid4().hex[:8]}", f"v_{uuid.uuid4().hex[:8]}"
+    spark.udtf.register(name, NearestMatches)
+    items = table(spark, d, "documents").join(table(spark, d, "embeddings"), F.col("vec_id") == F.col("doc_id"))
+    items.select(F.col("doc_id").alias("id"), F.col("text").alias("seq"), "embedding", (F.col("doc_id") % 4).alias("shard")).createOrReplaceTempView(view)
+    return spark.sql(f"SELECT id, round(dist, 4) AS dist FROM {name}(TABLE(SELECT id, seq, embedding, shard FROM {view}) PARTITION BY (shard), 'ing', array_repeat(0.1D, 64))")
 
 
 @op("op_sql_udf", _CENTRE)

@@ -15,7 +15,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from motifknn.functions.patterns import contains
-from motifknn.plans.staging import shared_folder
+from motifknn.operators.index import build_class_index, class_index_query, delete_batch, insert_batch
+from motifknn.plans.staging import shared_folder, staged
+from motifknn.plans.workload import EXACT_SQL, corpus, query_set, query_sql
 from motifknn.sources.tables import SCHEMAS, table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -44,6 +46,17 @@ def replayed(spark: SparkSession, d: str, name: str, split: str, parts: int = 2)
     return spark.readStream.schema(SCHEMAS[name]).option("maxFilesPerTrigger", 1).parquet(path)
 
 
+def by_time(spark: SparkSession, d: str, parts: int = 4, copies: int = 1) -> DataFrame:
+    """Events as a stream of files in order of time, each ``copies`` times; the times are instants."""
+    path, e = folder(spark, "feed"), table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    cuts = [F.lit(x) for x in e.agg(F.percentile_approx(F.col("ts"), [k / parts for k in range(1, parts)])).first()[0]]
+    for low, high in zip([None, *cuts], [*cuts, None], strict=True):
+        part = e if low is None else e.where(F.col("ts") > low)
+        for _ in range(copies):
+            (part if high is None else part.where(F.col("ts") <= high)).coalesce(1).write.mode("append").parquet(path)
+    return spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
 def drained(spark: SparkSession, df: DataFrame, mode: str = "append") -> DataFrame:
     """Run to the end into Parquet and read that back; ``complete`` and ``update`` keep the last batch's rows of each key."""
     out, ck = folder(spark, "out"), folder(spark, "ck")
@@ -75,12 +88,8 @@ def _session(spark, d):
 @stream("st_dedup", "SELECT event_id, user_id FROM events")
 def _dedup(spark, d):
     """Every event comes twice, in two files; one of each stays."""
-    path = folder(spark, "feed")
-    for _ in range(2):
-        table(spark, d, "events").coalesce(1).write.mode("append").parquet(path)
-    e = spark.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).parquet(path)
-    e = e.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need instants; the tables' zone-less times are UTC
-    return drained(spark, e.withWatermark("ts", "3650 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"))
+    e = by_time(spark, d, copies=2).withWatermark("ts", "2 days")
+    return drained(spark, e.dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"))
 
 
 @stream("st_watermark_late", "SELECT CAST(0 AS BIGINT) AS kept_late")
@@ -97,18 +106,18 @@ def _late(spark, d):
     return drained(spark, s).where(F.col("window.end").cast("timestamp").cast("long") < mid - 7200).agg(F.count(F.lit(1)).alias("kept_late"))
 
 
-@stream("st_static_join", "SELECT d.doc_id, b.item_id FROM documents d JOIN (SELECT item_id, substring(text, 1, 12) AS p FROM benchmark) b ON contains(d.text, b.p)")
+@stream("st_static_join", "SELECT d.doc_id, b.item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def _static(spark, d):
     docs = replayed(spark, d, "documents", "doc_id")
-    b = table(spark, d, "benchmark").select("item_id", F.substring("text", 1, 12).alias("p"))
-    return drained(spark, docs.join(F.broadcast(b), contains(F.col("text"), F.col("p"))).select("doc_id", "item_id"))
+    b = table(spark, d, "benchmark").select("item_id", F.col("text").alias("p"))  # Spark's own size check decides whether it is broadcast
+    return drained(spark, docs.join(b, contains(F.col("text"), F.col("p"))).select("doc_id", "item_id"))
 
 
 @stream("st_interval_join", "SELECT c.event_id AS click, p.event_id AS buy FROM events c JOIN events p ON p.user_id = c.user_id AND p.ts > c.ts AND p.ts <= c.ts + INTERVAL 1 DAY WHERE c.event_type = 'click' AND p.event_type = 'purchase'")
 def _interval(spark, d):
-    e = replayed(spark, d, "events", "event_id").withColumn("ts", F.col("ts").cast("timestamp"))
-    c = e.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("u"), F.col("ts").alias("t0")).withWatermark("t0", "3650 days")
-    p = e.where("event_type = 'purchase'").select(F.col("event_id").alias("buy"), "user_id", "ts").withWatermark("ts", "3650 days")
+    e = by_time(spark, d)
+    c = e.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("u"), F.col("ts").alias("t0")).withWatermark("t0", "1 hour")
+    p = e.where("event_type = 'purchase'").select(F.col("event_id").alias("buy"), "user_id", "ts").withWatermark("ts", "1 hour")
     return drained(spark, c.join(p, F.expr("user_id = u AND ts > t0 AND ts <= t0 + INTERVAL 1 DAY")).select("click", "buy"))
 
 
@@ -136,7 +145,7 @@ class MotifState(StatefulProcessor):
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:  # noqa: ANN001, N802
         n = self.at.get()[0] if self.at.exists() else 0
         hits = []
-        for event, symbol in sorted((r for p in rows for r in zip(p["event_id"], p["s"], strict=True))):
+        for _, event, symbol in sorted((r for p in rows for r in zip(p["ts"], p["event_id"], p["s"], strict=True))):
             n = self.steps[n].get(symbol, 0)
             if n == len(self.motif):
                 hits.append((key[0], event))
@@ -147,32 +156,38 @@ class MotifState(StatefulProcessor):
         pass
 
 
-@stream("st_motif_state", "WITH s AS (SELECT user_id, event_id, substring(event_type, 1, 1) AS a, lag(substring(event_type, 1, 1)) OVER w AS b, lag(substring(event_type, 1, 1), 2) OVER w AS c FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)) SELECT user_id, event_id FROM s WHERE c || b || a = 'vcp'")
+@stream("st_motif_state", "WITH s AS (SELECT user_id, event_id, substring(event_type, 1, 1) AS a, lag(substring(event_type, 1, 1)) OVER w AS b, lag(substring(event_type, 1, 1), 2) OVER w AS c FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) SELECT user_id, event_id FROM s WHERE c || b || a = 'vcp'")
 def _motif(spark, d):
-    path = folder(spark, "feed")
-    e = table(spark, d, "events")
-    mid = e.agg(F.percentile_approx("event_id", 0.5)).first()[0]
-    for part in (F.col("event_id") <= mid, F.col("event_id") > mid):
-        e.where(part).coalesce(1).write.mode("append").parquet(path)
-    s = spark.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).option("latestFirst", False).parquet(path).select("user_id", "event_id", F.substring("event_type", 1, 1).alias("s"))
+    s = by_time(spark, d, 2).select("user_id", "ts", "event_id", F.substring("event_type", 1, 1).alias("s"))
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     out = s.groupBy("user_id").transformWithStateInPandas(MotifState("vcp"), "user_id long, event_id long", "Append", "None")
     return drained(spark, out)
 
 
-@stream("st_insert_segment", "SELECT doc_id AS id, substring(text, 1, 28) AS seq FROM documents")
+def _arrivals(spark: SparkSession, d: str, kind: str) -> DataFrame:
+    """Passage ids that end in 3, 6 or 9, as what a stream of three files has written batch by batch."""
+    out, ck = folder(spark, kind), folder(spark, "ck")
+    rows = replayed(spark, d, "benchmark", "item_id", 3).where("item_id % 10 IN (3, 6, 9)").select(F.col("item_id").cast("long").alias("id"))
+    rows.writeStream.foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(f"{out}/segment={i}")).option("checkpointLocation", ck).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(out).select("id")
+
+
+_PASSAGES = f"WITH {query_sql('passage', per_length=20)},\n{EXACT_SQL}\nSELECT qid, CAST(rk AS INT) AS rk, id, dist FROM answers"
+
+
+@stream("st_insert_segment", _PASSAGES)
 def _insert(spark, d):
-    """Arrivals become delta segments, one for each batch."""
-    out, ck = folder(spark, "delta"), folder(spark, "ck")
-    docs = replayed(spark, d, "documents", "doc_id", 3).select(F.col("doc_id").alias("id"), F.substring("text", 1, 28).alias("seq"))
-    docs.writeStream.foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(f"{out}/segment={i}")).option("checkpointLocation", ck).trigger(availableNow=True).start().awaitTermination()
-    return spark.read.parquet(out).select("id", "seq")
+    """Arrivals become the delta of a built index, and its queries find them."""
+    c = corpus(spark, d, "passage")
+    q = staged(query_set(c, 64, 20))
+    index = build_class_index(staged(c.where("id % 10 NOT IN (3, 6, 9)")), 4)
+    return class_index_query(insert_batch(index, c.join(_arrivals(spark, d, "delta"), "id")), q).select("qid", F.col("rk").cast("int").alias("rk"), "id", "dist")
 
 
-@stream("st_delete_tombstone", "SELECT doc_id AS id FROM documents WHERE doc_id % 5 != 2")
+@stream("st_delete_tombstone", _PASSAGES.replace("ON contains(c.seq, q.pattern)", "ON contains(c.seq, q.pattern) AND c.id % 10 NOT IN (3, 6, 9)"))
 def _delete(spark, d):
-    """Removals become a tombstone table; readers take its ids out."""
-    out, ck = folder(spark, "gone"), folder(spark, "ck")
-    gone = replayed(spark, d, "documents", "doc_id").where("doc_id % 5 = 2").select(F.col("doc_id").alias("id"))
-    gone.writeStream.foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(f"{out}/batch={i}")).option("checkpointLocation", ck).trigger(availableNow=True).start().awaitTermination()
-    return table(spark, d, "documents").select(F.col("doc_id").alias("id")).join(spark.read.parquet(out).select("id"), "id", "left_anti")
+    """Removals mark ids of a built index, and its queries leave them out."""
+    c = corpus(spark, d, "passage")
+    q = staged(query_set(c, 64, 20))
+    index = delete_batch(build_class_index(c, 4), _arrivals(spark, d, "gone"))
+    return class_index_query(index, q).select("qid", F.col("rk").cast("int").alias("rk"), "id", "dist")
