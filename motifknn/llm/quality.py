@@ -28,8 +28,9 @@ from pyspark.sql import functions as F
 
 TOP, MOST_LABELS, LEAST_DOCS = 16, 16, 10
 #: Characters by class are lower-case letters, capitals, other letters, marks, digits, punctuation, symbols and all others.
-LOWER = r"[\p{Ll}\x20\x09-\x0D]+"
-RARER = (r"\p{Lu}+", r"[\p{Lo}\p{Lt}\p{Lm}]+", r"\p{M}+", r"\p{N}+", r"\p{P}+", r"\p{S}+")
+#: Those of ASCII are named first, for they are found sooner.
+LOWER = r"[a-z\x20\x09-\x0D\p{Ll}]+"
+RARER = (r"[A-Z\p{Lu}]+", r"[\p{Lo}\p{Lt}\p{Lm}]+", r"\p{M}+", r"[0-9\p{N}]+", r"\p{P}+", r"\p{S}+")
 SYMBOLS = r"[^#*$%&|<>]+"
 CELLS = len(RARER) + 2
 BASE_WORDS = 50
@@ -114,7 +115,8 @@ def distance(counts: Column, reference: list[float]) -> Column:
         return F.when(a > 0, a * F.log2(a * 2 / (a + b))).otherwise(F.lit(0.0))
 
     def of(total: Column) -> Column:
-        parts = F.zip_with(counts, F.lit(reference), lambda c, q: let(c / total, lambda p: term(p, q) + term(q, p)))
+        # what the text has none of adds q * log2(2)
+        parts = F.zip_with(counts, F.lit(reference), lambda c, q: F.when(c > 0, let(c / total, lambda p: term(p, q) + term(q, p))).otherwise(q))
         return F.when(total > 0, F.sqrt(F.greatest(F.aggregate(parts, F.lit(0.0), lambda a, x: a + x) / 2, F.lit(0.0))))
 
     return let(F.aggregate(counts, F.lit(0), lambda a, x: a + x).cast("double"), of)
@@ -172,8 +174,14 @@ def verdicts(docs: DataFrame, text: str = "text", lang: str = "lang", most_chars
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     # generated, not projected: a filter on what follows would else be pushed below with a copy of the expressions for each use
     stats = rows.withColumn("h", F.explode(F.array(features(F.col("row").getField(text), words))))
-    options = [F.struct((c + w).alias("sum"), F.lit(name).alias("near_lang"), c.alias("char_distance"), w.alias("word_distance")) for name, (a, b) in sorted(known.items()) for c, w in [(distance(F.col("h.seen.chars"), a), distance(F.col("h.common"), b))]]
-    nearest = F.array_min(F.array(*[F.when(o["sum"].isNotNull(), o) for o in options])) if options else F.lit(None).cast("struct<sum:double,near_lang:string,char_distance:double,word_distance:double>")
+
+    def option(name: str, a: list[float], b: list[float]) -> Column:
+        """The distances to one label, each computed once; null if there is none."""
+        both = F.array(distance(F.col("h.seen.chars"), a), distance(F.col("h.common"), b))
+        return let(both, lambda d: F.when(d[0].isNotNull() & d[1].isNotNull(), F.struct((d[0] + d[1]).alias("sum"), F.lit(name).alias("near_lang"), d[0].alias("char_distance"), d[1].alias("word_distance"))))
+
+    options = [option(name, a, b) for name, (a, b) in sorted(known.items())]
+    nearest = F.array_min(F.array(*options)) if options else F.lit(None).cast("struct<sum:double,near_lang:string,char_distance:double,word_distance:double>")
     stats = stats.withColumn("n", F.explode(F.array(nearest)))
     failed = (F.col("h.n_words") < BASE_WORDS) | (F.col("h.n_repeat_words") * 100 > F.col("h.n_words") * 50)
     far = ((F.col("h.seen.word_chars") >= LEAST_CHARS) & (F.col("n.char_distance") > most_chars)) | ((F.col("h.n_words") >= LEAST_WORDS) & (F.col("n.sum") > most_both + F.lit(NOISE) / F.sqrt("h.n_words")))
