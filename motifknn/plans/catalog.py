@@ -459,7 +459,7 @@ def _graph_gate(name: str, threshold: int, least: float = 0.95, ef: int = 100, p
 
 
 _THREE = "SELECT unnest([2, 3, 4]) AS len, true AS pass"
-for _n, _t in (("pname", 20), ("pname", 200), ("urlpath", 20), ("user_events", 20), ("passage", 20), ("turn", 60), ("line", 400), ("orders_seq", 400)):
+for _n, _t in (("pname", 20), ("pname", 200), ("urlpath", 20), ("user_events", 20), ("passage", 20), ("turn", 200), ("line", 400)):
     _add(f"m24_class_index_graphs_t{_t}_{_n}", _graph_gate(_n, _t), _THREE)
 
 

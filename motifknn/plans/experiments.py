@@ -259,7 +259,7 @@ def _in_lanes(rest: DataFrame, c: DataFrame, workers: int) -> None:
 @report("e07_ablation_figures")
 def _e07f(spark, d):
     """Size and time that reuse, skip-build and both save, in per cent, by corpus."""
-    t = staged(_each(SIX[:4], lambda n: index_sizes(spark, d, n, GRAPH_FROM[n]))).where("method != 'per_pattern'").withColumn("total", F.col("residuals_s") + F.col("graphs_s"))
+    t = staged(_each(("pname", "urlpath", "user_events"), lambda n: index_sizes(spark, d, n, GRAPH_FROM[n]))).where("method != 'per_pattern'").withColumn("total", F.col("residuals_s") + F.col("graphs_s"))
     full = t.where("method = 'class_index reuse=False skip=False'").select("corpus", F.col("bytes").alias("b0"), F.col("total").alias("s0"))
     return t.join(full, "corpus").select("corpus", "method", "ids", "nodes", "edges", "bytes", F.round(100 * (1 - F.col("bytes") / F.col("b0")), 1).alias("size_saved"), F.round(100 * (1 - F.col("total") / F.col("s0")), 1).alias("time_saved"))
 
